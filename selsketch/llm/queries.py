@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from .near_dup import op9_near_dup
+from .substring import OP3_SQL, op3_substring_dedup
 
-QUERIES = {"op9_near_dup": op9_near_dup}
+QUERIES = {"op3_substring_dedup": op3_substring_dedup, "op9_near_dup": op9_near_dup}
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op3_substring_dedup": OP3_SQL}
