@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 from .near_dup import op9_near_dup
+from .quality import OP10_SQL, op10_quality_rules
+from .secrets import op7_secret_scan
 from .substring import OP3_SQL, op3_substring_dedup
 
-QUERIES = {"op3_substring_dedup": op3_substring_dedup, "op9_near_dup": op9_near_dup}
+QUERIES = {"op3_substring_dedup": op3_substring_dedup, "op7_secret_scan": op7_secret_scan, "op9_near_dup": op9_near_dup, "op10_quality_rules": op10_quality_rules}
 
-ORACLE_SQL: dict[str, str] = {"op3_substring_dedup": OP3_SQL}
+ORACLE_SQL: dict[str, str] = {"op3_substring_dedup": OP3_SQL, "op10_quality_rules": OP10_SQL}
