@@ -17,7 +17,7 @@ import pyarrow as pa
 _U = np.uint64
 _BYTE_BASE = 0x9E3779B97F4A7C15
 _RUN_BASES = (0xD6E8FEB86659FD93, 0xA0761D6478BD642F)
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 18
 
 #: Word separators \x20 and \x09-\x0D.
 BLANKS = np.zeros(256, bool)
