@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import sys
 import tempfile
+import types
 import uuid
 from collections.abc import Callable, Iterator
 from functools import reduce
@@ -121,6 +123,15 @@ def unsqueezed(packed: pa.Array) -> pa.Array:
     return pa.array([None if x is None else press.decompress(x).decode() for x in packed.to_pylist()], pa.large_string())
 
 
+def kept_in_worker(key: tuple, make: Callable[[], object]) -> object:
+    """make() once per Python process: functions travel by value, so their module's globals don't outlive a task."""
+    home = sys.modules.setdefault("_selsketch_worker", types.ModuleType("_selsketch_worker"))
+    store = home.__dict__.setdefault("store", {})
+    if key not in store:
+        store[key] = make()
+    return store[key]
+
+
 def union_all(tables: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, tables)
 
