@@ -62,14 +62,17 @@ class Scratch:
                     path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how: str = "inner") -> DataFrame:
+def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how: str = "inner", broadcast_rows: int = 20_000) -> DataFrame:
     """big JOIN small on ``keys`` (unique in small) where few keys may hold most rows of big.
 
     ``weight`` is small's column with the number of big's rows of the key.  Keys above HOT_SHARE of the rows, at most
     1/HOT_SHARE of them, are broadcast; their rows then spread evenly over the shuffle of the others. ``how``: inner or left.
+    A small of at most ``broadcast_rows`` rows, counted first, is broadcast whole (0 where its rows are large).
     """
     values = [c for c in small.columns if c not in keys and c != weight]
-    total = small.agg(F.sum(weight)).first()[0] or 0
+    total, n = small.agg(F.coalesce(F.sum(weight), F.lit(0)), F.count("*")).first()
+    if n <= broadcast_rows:
+        return big.join(F.broadcast(small.select(*keys, *values)), keys, how).select(*big.columns, *values)
     least = max(int(total * HOT_SHARE), _HOT_LEAST)
     rest = small.where(F.col(weight) < least).select(*keys, *values, F.lit(0).cast("long").alias("_salt"), F.lit(True).alias("_cold"))
     if not small.where(F.col(weight) >= least).take(1):

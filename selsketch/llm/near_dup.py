@@ -141,7 +141,7 @@ def _grid_links(threshold: int):
 def _verify(cells: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
     """cells(g, m, p, c, probe) with the sets of c -> links(a, b) between probes and members of each cell g, m, p."""
     weighted = sets.join(cells.groupBy("c").agg(F.count("*").alias("w")), "c")
-    return hot_join(cells, weighted, ["c"], "w").groupBy("g", "m", "p").applyInArrow(_grid_links(threshold), "a long, b long")
+    return hot_join(cells, weighted, ["c"], "w", broadcast_rows=0).groupBy("g", "m", "p").applyInArrow(_grid_links(threshold), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, k: int = WORDS, threshold: int = THRESHOLD, permutations: int = PERMUTATIONS, rows: int = ROWS) -> DataFrame:

@@ -123,7 +123,7 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW, k: int = KMER) -> Data
     known = paths.select("h", "b", "w", F.col("doc_id").alias("own")).join(early, ["h", "b"], "left")
     known = scratch.save(known, "known")
     scratch.drop(edges, shared)
-    at_branch = hot_join(branching.select("doc_id", "t", "h", "b", "at", "n"), known, ["h", "b"], "w")
+    at_branch = hot_join(branching.select("doc_id", "t", "h", "b", "at", "n"), known, ["h", "b"], "w", broadcast_rows=0)
     full = at_branch.where("own < doc_id").select("doc_id", "t", F.col("at").alias("start"), whole)
     some = at_branch.where("own >= doc_id").select("doc_id", "t", "at", F.explode(F.filter("early", lambda e: e["first"] < F.col("doc_id"))).alias("e"))
     some = some.select("doc_id", "t", (F.col("at") + F.col("e.i")).alias("start"), (F.col("at") + F.col("e.i") + window).alias("end"))
