@@ -62,7 +62,7 @@ class Scratch:
                     path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how: str = "inner", broadcast_rows: int = 20_000) -> DataFrame:
+def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how: str = "inner", broadcast_rows: int = 0) -> DataFrame:
     """big JOIN small on ``keys`` (unique in small) where few keys may hold most rows of big.
 
     ``weight`` is small's column with the number of big's rows of the key.  Keys above HOT_SHARE of the rows, at most

@@ -326,7 +326,7 @@ def with_revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     page = page.withColumn("digest", F.sha1("payload")).withColumn("payload_bytes", F.length("payload").cast("long"))
     groups = page.where(F.col("payload_bytes") >= least_bytes).groupBy("digest", "payload_bytes").agg(F.max("page_id").alias("response"), F.count("*").alias("w"))
     groups = scratch.save(groups.where("w > 1 AND response IS NOT NULL"), "groups")
-    roles = hot_join(page, groups, ["digest", "payload_bytes"], "w", "left")
+    roles = hot_join(page, groups, ["digest", "payload_bytes"], "w", "left", broadcast_rows=20_000)
     revisit = F.col("response").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("response"))
     urn = lambda c: F.concat(F.lit("urn:page:"), F.coalesce(F.col(c).cast("string"), F.lit("none")))
     return roles.select(
