@@ -106,7 +106,7 @@ def _sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
                 ptr = np.append(start, len(shingle)).astype(np.int32)
                 yield {"c": ids.take(pa.array(lo + full)), "shingles": pa.ListArray.from_arrays(pa.array(ptr), pa.array(signed(shingle)))}
 
-    return map_batches(packed.join(wanted, "c"), step, c="long", shingles="longs").dropDuplicates(["c"])
+    return map_batches(packed.join(wanted.hint("merge"), "c").dropDuplicates(["c"]), step, c="long", shingles="longs")
 
 
 def _grid_links(threshold: int):
@@ -140,8 +140,8 @@ def _grid_links(threshold: int):
 
 def _verify(cells: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
     """cells(g, m, p, c, probe) with the sets of c -> links(a, b) between probes and members of each cell g, m, p."""
-    weighted = sets.join(cells.groupBy("c").agg(F.count("*").alias("w")), "c")
-    return hot_join(cells, weighted, ["c"], "w").groupBy("g", "m", "p").applyInArrow(_grid_links(threshold), "a long, b long")
+    weights = cells.groupBy("c").agg(F.count("*").alias("w"))
+    return hot_join(cells, sets, ["c"], "w", weights=weights).groupBy("g", "m", "p").applyInArrow(_grid_links(threshold), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, k: int = WORDS, threshold: int = THRESHOLD, permutations: int = PERMUTATIONS, rows: int = ROWS) -> DataFrame:
@@ -157,7 +157,7 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, threshold: int = THRESHOLD,
     full = sig.where("n_shingles > 0 AND doc_id IS NOT NULL")
     classes = scratch.save(full.groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("c"), F.count("*").alias("w")), "classes")
     stand = full.join(classes.select("c", "s1", "s2", "n_shingles"), [F.col("doc_id") == F.col("c"), *[full[x] == classes[x] for x in ("s1", "s2", "n_shingles")]])
-    keyed = stand.dropDuplicates(["c"]).select("c", F.explode("bands").alias("key"))
+    keyed = stand.select("c", F.explode("bands").alias("key"))
     shared = scratch.save(keyed.groupBy("key").agg(F.min("c").alias("g"), F.count("*").alias("w")).where("w > 1"), "shared")
     member = scratch.save(hot_join(keyed, shared, ["key"], "w").select("g", "c").distinct(), "members")
     wanted = member.select("c").distinct()
