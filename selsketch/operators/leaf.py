@@ -15,7 +15,7 @@ def dyadic(df: DataFrame, code: str, bits: int, width: int, by: tuple[str, ...]
     """(level, bin, cnt): level l counts the intervals of 2^l codes; a level of at most ``width`` intervals is exact."""
     counts = df.where(F.col(code).isNotNull()).groupBy(*by, code).agg(F.count("*").alias("n"))
     rows = counts.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(bits))))
-    index = F.shiftright(F.col(code).cast("long"), F.col("level"))
+    index = F.call_function("shiftright", F.col(code).cast("long"), F.col("level"))
     binned = index.cast("int")
     for level in range(bits + 1):
         if 1 << (bits - level) > width:

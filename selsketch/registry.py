@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .queries import sketches
+from .queries import models, sketches, streams, surface
 
-QUERIES = dict(sketches.QUERIES)
-ORACLE = dict(sketches.ORACLE)
+QUERIES = sketches.QUERIES | models.QUERIES | surface.QUERIES | streams.QUERIES
+ORACLE = sketches.ORACLE | models.ORACLE | surface.ORACLE | streams.ORACLE
