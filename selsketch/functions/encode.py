@@ -24,7 +24,7 @@ class Encoder:
 
     @property
     def size(self) -> int:
-        return len(self.words) if self.mode == "dictionary" else len(self.edges) + 1
+        return len(self.words) or len(self.edges) + 1
 
     @property
     def bits(self) -> int:
@@ -48,10 +48,12 @@ class Encoder:
 
     def intervals(self, op: str, values: tuple) -> list[tuple[int, int]]:
         top = self.size - 1
-        if self.mode == "dictionary":
-            at = lambda v: bisect.bisect_left(self.words, v)
-            upto = lambda v: bisect.bisect_right(self.words, v) - 1
-            has = lambda v: [(at(v), at(v))] if v in self.words else []
+        if self.words:  # dictionary and identity know their values, so every interval is exact
+            words = [self._plain(w) for w in self.words] if self.mode == "identity" else self.words
+            values = tuple(self._plain(v) for v in values) if self.mode == "identity" and not isinstance(words[0], str) else values
+            at = lambda v: bisect.bisect_left(words, v)
+            upto = lambda v: bisect.bisect_right(words, v) - 1
+            has = lambda v: [(at(v), at(v))] if v in words else []
         else:
             values = tuple(self._plain(v) for v in values)
             at = upto = lambda v: bisect.bisect_right([self._plain(e) for e in self.edges], v)
@@ -64,12 +66,12 @@ class Encoder:
         }[op]()
 
     def _below(self, v, at) -> int:
-        if self.mode == "dictionary":
+        if self.words:
             return at(v) - 1
         return at(v) - 1 if v in [self._plain(e) for e in self.edges] else at(v)
 
     def _above(self, v, upto) -> int:
-        return upto(v) + 1 if self.mode in ("dictionary", "identity", "day") else upto(v)
+        return upto(v) + 1 if self.words else upto(v)
 
     @staticmethod
     def _plain(v):
@@ -88,7 +90,7 @@ def fit(df: DataFrame, attr: str, expr: str = "", codes: int = 64) -> Encoder:
             raise ValueError(f"{attr}: hash it to a number first")
         return Encoder(attr, "dictionary", words=sorted(distinct), expr=expr)
     if len(distinct) <= codes:
-        return Encoder(attr, "identity", edges=sorted(distinct)[1:], expr=expr)
+        return Encoder(attr, "identity", edges=sorted(distinct)[1:], words=sorted(distinct), expr=expr)
     as_number = df.select((F.unix_micros(c) if kind.startswith("timestamp") else c).cast("double").alias("x"))
     cuts = as_number.approxQuantile("x", [i / codes for i in range(1, codes)], 0.001)
     if kind.startswith("timestamp"):
