@@ -118,7 +118,8 @@ def redacted(docs: DataFrame, text: str = "text", mark: str = "[SECRET]") -> Dat
         return F.struct(F.greatest(acc["at"], s["end"] + 1).alias("at"), F.when(fresh, F.concat(acc["out"], gap, F.lit(mark))).otherwise(acc["out"]).alias("out"))
 
     clean = F.aggregate("_live", start, cut, lambda acc: F.concat(acc["out"], F.substring(body, acc["at"], F.length(body))))
-    new = F.when(F.col("_live").isNotNull(), clean).otherwise(F.col(text))
-    length = [F.when(F.col("_live").isNotNull(), F.length(clean).cast("long")).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns if c != text]
-    named = {c: x for c, x in zip([c for c in docs.columns if c != text], length, strict=True)} | {text: new.alias(text)}
+    # a column of its own: beside an alias "text", a lambda's "text" would mean the new text
+    joined = joined.withColumn("_clean", F.when(F.col("_live").isNotNull(), clean).otherwise(F.col(text)))
+    length = F.when(F.col("_live").isNotNull(), F.length("_clean").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if "n_chars" in docs.columns else None
+    named = {c: F.col(c) for c in docs.columns} | {text: F.col("_clean").alias(text)} | ({"n_chars": length} if length is not None else {})
     return joined.select(*[named[c] for c in docs.columns])
