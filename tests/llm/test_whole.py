@@ -1,0 +1,187 @@
+"""Operators over whole small tables against brute force, SQL or held-out accuracy."""
+
+import collections
+import re
+import zlib
+
+import numpy as np
+import pytest
+from checks import same
+
+import corpus_pipeline
+from selsketch.llm import licenses, near_dup, packing, quality, queries, substring, token_counts, toxicity
+from selsketch.llm.decontaminate import tiles
+
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
+LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+
+
+@pytest.fixture(scope="module")
+def texts(spark, small):
+    return {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
+
+
+@pytest.mark.parametrize("name", sorted(queries.ORACLE_SQL))
+def test_sql(spark, small, name):
+    same(spark, small, queries.QUERIES[name], queries.ORACLE_SQL[name])
+
+
+def components(texts):
+    sets = {}
+    for i, t in texts.items():
+        w = WORD.findall(t.translate(LOWER))
+        sets[i] = {tuple(w[j : j + 5]) for j in range(len(w) - 4)} if len(w) >= 5 else ({tuple(w)} if w else set())
+    root = {i: i for i in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    ids = sorted(sets)
+    for a in ids:
+        for b in ids:
+            if a < b and sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {i: (len(s), find(i), find(i) == i) for i, s in sets.items()}
+
+
+def test_near_duplicates(spark, small, texts):
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"], r["kept"]) for r in near_dup.op9_near_dup(spark, small).collect()}
+    assert got == components(texts)
+
+
+def test_signature_is_unbiased_and_recall_of_bands():
+    rng = np.random.default_rng(1)
+    shared = rng.integers(0, 2**63, 300).astype(np.uint64)
+    a, b = np.r_[shared, rng.integers(0, 2**63, 50).astype(np.uint64)], np.r_[shared, rng.integers(0, 2**63, 50).astype(np.uint64)]
+    s = near_dup.min_max(np.r_[a, b], np.array([0, 350]), 400)
+    assert abs((s[0] == s[1]).mean() - 0.75) < 0.06
+
+
+def test_tiling_equals_brute_force():
+    rng = np.random.default_rng(3)
+
+    def brute(p, t, m):
+        mp, mt, out = [0] * len(p), [0] * len(t), 0
+        while True:
+            best, at = 0, None
+            for i in range(len(p)):
+                for j in range(len(t)):
+                    k = 0
+                    while i + k < len(p) and j + k < len(t) and p[i + k] == t[j + k] and not mp[i + k] and not mt[j + k]:
+                        k += 1
+                    if k > best:
+                        best, at = k, (i, j)
+            if best < m:
+                return out
+            for k in range(best):
+                mp[at[0] + k] = mt[at[1] + k] = 1
+            out += best
+
+    for _ in range(200):
+        p, t = rng.integers(0, 30, rng.integers(1, 20)), rng.integers(0, 30, rng.integers(1, 30))
+        t = np.r_[t, p[: len(p) // 2], t[:3], p[len(p) // 2 :]]
+        assert sum(x[2] for x in tiles(p.astype(np.uint64), t.astype(np.uint64), 3)) == brute(p.tolist(), t.tolist(), 3)
+
+
+def test_automaton_counts_greedy_pieces(spark, small, texts):
+    vocab = token_counts.byte_pieces(packing.vocabulary_path())
+
+    def greedy(w):
+        i = n = 0
+        while i < len(w):
+            i = next(j for j in range(len(w), i, -1) if w[i:j] in vocab)
+            n += 1
+        return n
+
+    got = {r["doc_id"]: (r["n_words"], r["n_tokens"]) for r in token_counts.op5_token_counts(spark, small).collect()}
+    for i in list(texts)[:60]:
+        words = WORD.findall(texts[i])
+        assert got[i] == (len(words), sum(greedy(b" " + w.encode()) for w in words))
+
+
+def test_suffix_automaton_against_all_substrings():
+    rng = np.random.default_rng(5)
+    for _ in range(60):
+        seqs = [rng.integers(0, 4, rng.integers(1, 15)).tolist() for _ in range(3)]
+        text = rng.integers(0, 5, 30).tolist()
+        known = {tuple(s[i:j]) for s in seqs for i in range(len(s)) for j in range(i + 1, len(s) + 1)}
+        for start, end, _ in licenses.SuffixAutomaton(seqs).runs(text, 2):
+            assert tuple(text[start:end]) in known
+            assert end == len(text) or tuple(text[start : end + 1]) not in known
+            assert start == 0 or tuple(text[start - 1 : end]) not in known
+
+
+def test_license_base(spark, small, texts):
+    for r in licenses.op8_license_scan(spark, small).collect():
+        w = licenses.words_in(texts[r["doc_id"]])
+        at = [i for p in licenses.PHRASES for i in range(len(w)) if w[i : i + len(p.split())] == p.split()]
+        assert (r["n_words"], r["n_base"], r["first_word"], r["last_word"]) == (len(w), len(at), min(at, default=None), max(at, default=None))
+        assert set(filter(None, r["base_labels"].split(","))) <= set(r["labels"].split(","))
+
+
+def test_packing_keeps_every_id(spark, small, texts):
+    from tokenizers import Tokenizer
+
+    got = packing.op4_packing(spark, small).collect()
+    t = Tokenizer.from_file(packing.vocabulary_path())
+    t.encode_special_tokens = True
+    for r in got:
+        ids = [*t.encode(texts[r["doc_id"]], add_special_tokens=False).ids, 0]
+        part = np.asarray(ids[r["start"] : r["start"] + r["length"]], "<u4")
+        assert r["ids_crc32"] == zlib.crc32(part.tobytes()) and r["doc_tokens"] == len(ids)
+    used = collections.Counter()
+    for r in got:
+        used[r["sequence_id"]] += r["length"]
+    assert max(used.values()) <= 1024 and sum(used.values()) / (1024 * len(used)) > 0.97
+
+
+def test_plan_uses_each_length_exactly():
+    rng = np.random.default_rng(2)
+    for _ in range(20):
+        histogram = {int(k): int(v) for k, v in zip(rng.integers(1, 65, 30), rng.integers(1, 50, 30), strict=True)}
+        plan = packing.plan_patterns(histogram, 64)
+        used = collections.Counter()
+        for count, content in plan:
+            assert sum(content) <= 64
+            for c in content:
+                used[c] += count
+        assert used == collections.Counter(histogram)
+
+
+def test_toxicity_on_the_held_out_fold(spark):
+    d = "/root/testdata/sf0.1"
+    rows = toxicity.op6_toxicity(spark, d).join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id").where("held_out").toPandas()
+    y, s = rows["toxic"].to_numpy(bool), rows["score"].rank().to_numpy()
+    auc = (s[y].sum() - y.sum() * (y.sum() + 1) / 2) / (y.sum() * (~y).sum())
+    assert auc > 0.85 and (rows["predicted"] == rows["toxic"]).mean() > max(y.mean(), 1 - y.mean())
+
+
+def test_pipeline_against_brute_force(spark, small, texts):
+    q = {r["doc_id"]: r["kept"] for r in quality.op10_quality_rules(spark, small).collect()}
+    kept = {i: t for i, t in texts.items() if q[i]}
+    kept = {i: kept[i] for i, x in components(kept).items() if x[2]}
+    bench = [re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", r["text"].translate(LOWER)) for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()]
+    out = set()
+    for i, t in kept.items():
+        w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", t.translate(LOWER))
+        grams = {tuple(w[j : j + 5]) for j in range(len(w) - 4)}
+        if not any(sum(tuple(b[j : j + 5]) in grams for j in range(len(b) - 4)) >= 0.5 * len(b) - 4 and len(b) >= 5 for b in bench):
+            out.add(i)
+    assert {r["doc_id"] for r in corpus_pipeline.run(spark, small).collect()} == out
+
+
+def test_substring_brute_force(spark, small, texts):
+    first: dict[tuple, int] = {}
+    words = {i: WORD.findall(t) for i, t in texts.items()}
+    for i in sorted(words):
+        for j in range(len(words[i]) - 49):
+            first.setdefault(tuple(words[i][j : j + 50]), i)
+    for r in substring.op3_substring_dedup(spark, small).collect():
+        w, gone = words[r["doc_id"]], set()
+        for j in range(len(w) - 49):
+            if first[tuple(w[j : j + 50])] < r["doc_id"]:
+                gone |= set(range(j, j + 50))
+        assert (r["n_words"], r["n_removed"]) == (len(w), len(gone))
