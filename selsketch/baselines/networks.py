@@ -147,5 +147,5 @@ def host_estimate(a, ka, fa, b, kb, fb) -> float:
     """Spark's own size estimate of the filtered join: its row count, else its bytes over the bytes of a row."""
     joined = _where(a, fa).select(ka).join(_where(b, fb).select(kb), F.col(ka) == F.col(kb))
     stats = joined._jdf.queryExecution().optimizedPlan().stats()
-    rows = re.search(r"Some\((\d+)\)", stats.rowCount().toString())
-    return float(rows[1]) if rows else float(stats.sizeInBytes().toString()) / 24
+    rows = re.search(r"Some\((\d+)\)", str(stats.rowCount().toString()))
+    return float(rows[1]) if rows else float(str(stats.sizeInBytes())) / 24

@@ -163,3 +163,16 @@ def reduce_reps(rows: DataFrame, how: str, by: Sequence[str] = ()) -> DataFrame:
 
 def clamp(rows: DataFrame, least: float = 1.0) -> DataFrame:
     return rows.withColumn("est", F.greatest("est", F.lit(least)))
+
+
+def split_keys(a: DataFrame, b: DataFrame, rows: int, width: int) -> DataFrame:
+    """Composite sketch of two keys kept in different leaves: their circular convolution over the node's row count."""
+    both = a.select("rep", "bin", F.col("val").cast("double").alias("val"), F.lit(0).alias("side")).union(b.select("rep", "bin", F.col("val").cast("double").alias("val"), F.lit(1).alias("side")))
+
+    def convolve(key, table):
+        v = np.zeros((2, width))
+        np.add.at(v, (table.column("side").to_numpy(), table.column("bin").to_numpy()), table.column("val").to_numpy())
+        out = np.fft.irfft(np.fft.rfft(v[0]) * np.fft.rfft(v[1]), width) / max(rows, 1)
+        return pa.table({"rep": pa.array([key[0].as_py()] * width, pa.int32()), "bin": pa.array(range(width), pa.int32()), "val": out})
+
+    return both.groupBy("rep").applyInArrow(convolve, "rep int, bin int, val double")

@@ -167,7 +167,7 @@ def learn(columns: dict[str, np.ndarray], relation: Relation, cfg: Config):
         x = np.concatenate([copula_features(c, cfg.features, cfg.spread, rng) for c in own.values()], 1)
         if (x.std(0) < 1e-12).all():
             return leaf_set(attrs, with_keys)
-        split = _stump(own, hard_em(x)[0] if cfg.clusterer == "hard_em" else k_means(x))
+        split = _stump(own, {"hard_em": lambda: hard_em(x)[0], "k_means": lambda: k_means(x), "soft_em": lambda: soft_em(x)}[cfg.clusterer]())
         if not split:
             return leaf_set(attrs, with_keys)
         name, cut, left = split
@@ -181,3 +181,19 @@ def learn(columns: dict[str, np.ndarray], relation: Relation, cfg: Config):
 
 def train(df: DataFrame, relation: Relation, cfg: Config):
     return learn(sample(df, relation, cfg.sample_rows), relation, cfg)
+
+
+def soft_em(x: np.ndarray, rounds: int = 50) -> np.ndarray:
+    """Two diagonal Gaussians with soft assignment; rows go to the likelier one at the end."""
+    weight = np.eye(2)[k_means(x, 5)].astype(float)
+    for _ in range(rounds):
+        mass = np.maximum(weight.sum(0), 1e-9)
+        mean = weight.T @ x / mass[:, None]
+        var = np.maximum(np.stack([(weight[:, k : k + 1] * (x - mean[k]) ** 2).sum(0) / mass[k] for k in (0, 1)]), 1e-6)
+        log = np.stack([np.log(mass[k] / len(x)) - 0.5 * (np.log(var[k]) + (x - mean[k]) ** 2 / var[k]).sum(1) for k in (0, 1)], 1)
+        new = np.exp(log - log.max(1, keepdims=True))
+        new /= new.sum(1, keepdims=True)
+        if np.abs(new - weight).max() < 1e-4:
+            break
+        weight = new
+    return weight.argmax(1)
