@@ -16,11 +16,20 @@ from .common import Scratch, docs_of, hot_join, text_column
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]{16,}"
 HEX = r"[0-9a-f]{24,}"
-#: Spans that the method adds: service tokens with a well-known prefix, and key headers.
+#: Spans that the method adds: service tokens with a well-known prefix, and private keys.
 PREFIXED = r"\b(?:ghp|gho|ghs|glpat|xox[abprs]|sk_live|sk_test|rk_live)[_-][A-Za-z0-9_-]{16,}"
-PRIVATE = r"-----BEGIN [A-Z ]{0,30}PRIVATE KEY-----"
+_FOOTER = r"-----END [A-Z ]{0,30}PRIVATE KEY-----"
+#: A private key, from header through body to footer; group 1 is the body.  Without a footer before the next five dashes the
+#: body is base64: runs of 16 characters or more, or runs that fill their line.  Possessive, as plain groups recurse in Java.
+_BREAK, _BETWEEN = r"(?:\r?+\n|\\r?+\\?+n)", r"(?:\\[nrt]|[\s\"'+,>#*|/])"
+_FIELDS = rf"(?:(?:\s|\\[nr])*+(?:Proc-Type|DEK-Info|Version|Comment):[^\r\n\\]*+)*+(?:{_BREAK}(?=\s|\\[nr]))?+"
+_LINE = rf"{_BREAK}[ \t>#*|\"']*+[A-Za-z0-9+/]++=*+(?=[ \t]*+(?:[\r\n]|\\[nr]|[\"']|\z))"
+_BASE64 = rf"(?:{_FIELDS}(?:{_BETWEEN}*+[A-Za-z0-9+/]{{16,}}+=*+|{_LINE})++)?+"
+PRIVATE = rf"-----BEGIN [A-Z ]{{0,30}}PRIVATE KEY-----((?:[^-]++|-(?!----))*+(?={_FOOTER})|{_BASE64})(?:{_FOOTER})?+"
 KINDS = {"assign": ASSIGN, "access": ACCESS, "hex": HEX, "prefixed": PREFIXED, "private": PRIVATE}
 BASE = ("assign", "access", "hex")
+#: What line breaks, quotes and indentation add to a key body: the same key counts as one value however it is laid out.
+LAYOUT = r"\\[nrt]|[^A-Za-z0-9+/=]"
 LEAST_VALUE = 6
 #: A value that at least so many owners hold counts as a copied example.
 EXAMPLE_OWNERS = 3
@@ -32,6 +41,8 @@ def _spans(text: Column, kind: str, order: int) -> Column:
     found = F.regexp_extract_all(text, pattern, F.lit(0))
     pieces = F.split(text, KINDS[kind], -1)
     value = F.regexp_extract_all(text, pattern, F.lit(2)) if kind == "assign" else found
+    if kind == "private":
+        value = F.transform(F.regexp_extract_all(text, pattern, F.lit(1)), lambda b: F.regexp_replace(b, LAYOUT, ""))
     step = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<struct<start:long,end:long,o:int,kind:string,value:string>>").alias("out"))
     rows = F.arrays_zip(F.transform(pieces, F.length).alias("gap"), found.alias("found"), value.alias("value"))
 
@@ -72,7 +83,8 @@ def secrets(docs: DataFrame, text: str = "text", repo: str = "doc_id", owner: st
     """docs -> (doc_id, t, found): found holds start, end, kind, value hash, n_repos, n_owners and live for each span.
 
     ``t`` is a hash of the text, which with doc_id tells repeated rows apart.  Null or empty texts have no spans.  A null
-    owner or repository counts as none, so such a value looks live.  Spans of different kinds may overlap.
+    owner or repository counts as none, so such a value looks live.  Spans of different kinds may overlap.  The value of a
+    private key is its body; a header without any holds no key and is never live.
     """
     scratch = Scratch(docs.sparkSession)
     slim = docs.select("doc_id", text_column(text).alias("text"), F.col(repo).alias("repo"), F.col(owner).cast("string").alias("owner"))
@@ -82,7 +94,7 @@ def secrets(docs: DataFrame, text: str = "text", repo: str = "doc_id", owner: st
     each = each.select("doc_id", "t", "repo", "owner", "s.*")
     counted = scratch.save(owners(each), "owners")
     judged = hot_join(each.drop("repo", "owner").distinct(), counted, ["value"], "w")
-    live = F.col("n_owners") < example_owners
+    live = (F.col("n_owners") < example_owners) & (F.col("value") != F.sha2(F.lit(""), 256))
     span = F.struct("start", F.when(F.col("kind").isin(*BASE), F.array_position(F.array(*map(F.lit, KINDS)), F.col("kind"))).otherwise(9).alias("o"), "end", "kind", "value", "n_repos", "n_owners", live.alias("live"))
     by_doc = judged.groupBy(F.col("doc_id").alias("d"), F.col("t").alias("u")).agg(F.array_sort(F.collect_list(span)).alias("judged"))
     out = scanned.join(by_doc, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("t") == F.col("u")), "left")

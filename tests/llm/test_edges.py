@@ -93,6 +93,25 @@ def test_copied_examples_are_told_from_live_ones(spark):
     assert not got[0][0]["live"] and got[0][0]["n_owners"] == 5 and got[9][0]["live"]
 
 
+def test_private_keys_are_told_apart_by_their_bodies_and_cut_whole(spark):
+    head, foot = "-----BEGIN RSA PRIVATE KEY-----", "-----END RSA PRIVATE KEY-----"
+    body = [[hashlib.sha512(f"{i}/{j}".encode()).hexdigest().upper()[:64] for j in range(4)] + [f"tail{i}A=="] for i in range(6)]
+    texts = {i: f"before {head}\n" + "\n".join(body[i]) + f"\n{foot} after" for i in range(4)}
+    texts[4] = f"x {head}\nProc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC,0A1B\n\n" + "\n".join(body[4]) + f"\n{foot} y"
+    texts[5] = f"cut {head}\n" + "\n".join(body[5]) + "\n\nprose goes on - for long"
+    texts[6] = 'k = "' + head + "\\n" + "\\n".join(body[0][:2]) + "\\n" + foot + '";'
+    texts[7] = f"the header {head} alone and words after"
+    texts[8] = f"{head}\n" + "QUJD" * 200_000 + f"\n{foot}"
+    copies = {10 + i: f"{head}\r\n" + "\r\n".join(body[1][::-1]) + f"\r\n{foot}" for i in range(4)}
+    df = spark.createDataFrame([(i, t, f"s{i}") for i, t in (texts | copies).items()], "doc_id long, text string, source string")
+    found = {r["doc_id"]: [s for s in r["found"] if s["kind"] == "private"] for r in secrets.secrets(df).collect()}
+    assert all(len(found[i]) == 1 and found[i][0]["live"] == (i < 7 or i == 8) for i in found) and found[10][0]["n_owners"] == 4
+    clean = {r["doc_id"]: r["text"] for r in secrets.redacted(df).collect()}
+    assert [clean[i] for i in range(4)] == ["before [SECRET] after"] * 4 and clean[4] == "x [SECRET] y" and clean[8] == "[SECRET]"
+    assert clean[5] == "cut [SECRET]\n\nprose goes on - for long" and clean[6].endswith('[SECRET]";') and clean[7] == texts[7]
+    assert all(b not in t for i, t in clean.items() if i < 10 for lines in body for b in lines)
+
+
 def test_contaminated(docs, none, bench):
     got = sorted((r["doc_id"], r["item_id"], r["coverage"]) for r in decontaminate.contaminated(docs, bench).where("doc_id IS NOT NULL").collect())
     assert got == [(4, 1, 1.0), (4, 1, 1.0), (5, 1, 1.0), (6, 1, 1.0), (8, 1, 1.0)]
