@@ -138,6 +138,20 @@ def test_packing_keeps_every_id(spark, small, texts):
     assert max(used.values()) <= 1024 and sum(used.values()) / (1024 * len(used)) > 0.97
 
 
+def test_word_salad_is_rejected_and_clean_texts_of_each_language_stay(spark):
+    rng = np.random.default_rng(7)
+    salad = [" ".join("".join(rng.choice(list("abcdefghilmnoprstu"), rng.integers(3, 9))) for _ in range(n)) for n in (100, 500, 3000)]
+    salad.append(" ".join(f"keyword{chr(97 + i % 26)}{chr(97 + i // 26)} the" for i in range(400)))
+    salad = spark.createDataFrame([(-1 - i, t) for i, t in enumerate(salad)], "doc_id long, text string")
+    for r in quality.quality(salad).collect():
+        assert not r["base_failed"] and not r["kept"] and r["class_distance"] <= quality.CLASS_DISTANCE
+    assert not quality.passing(salad).collect()
+    d = "/root/testdata/sf0.1"  # the threshold was chosen without these labels
+    known = spark.read.parquet(f"{d}/documents.parquet").join(spark.read.parquet(f"{d}/labels.parquet").where("quality = 1").where(toxicity.held_out()), "doc_id")
+    judged = quality.quality(known).join(known.select("doc_id", "lang"), "doc_id").where(f"n_words >= {quality.WORD_GUARD}").collect()
+    assert {r["lang"] for r in judged} >= {"en", "de", "fr", "es"} and all(r["word_distance"] <= quality.WORD_DISTANCE for r in judged)
+
+
 def test_plan_uses_each_length_exactly():
     rng = np.random.default_rng(2)
     for _ in range(20):
