@@ -9,6 +9,8 @@ import uuid
 from collections.abc import Callable, Iterator
 from functools import reduce
 
+import numpy as np
+import pandas as pd
 import pyarrow as pa
 import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -17,6 +19,8 @@ from pyspark.sql import functions as F
 #: A key is hot if it holds at least this share of the rows; so at most 1/share keys are hot, which bounds the broadcast.
 HOT_SHARE = 1 / 1024
 _HOT_LEAST = 500
+#: Size of a Sieve.
+SIEVE_BITS = 26
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -91,6 +95,58 @@ def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how
     return out.select(*big.columns, *[F.when(F.col("_hot"), F.col(f"_hot_{c}")).otherwise(F.col(c)).alias(c) for c in values])
 
 
+class Sieve:
+    """A set of 64-bit values as 2^SIEVE_BITS bits, whose size does not depend on the data: it lets every member through and
+    few others, so it only spares work and an exact join still follows.  The driver holds the bits, 8 MB, once."""
+
+    def __init__(self, values: DataFrame, column: str):
+        place = F.pmod(F.col(column), F.lit(1 << SIEVE_BITS)) + 1
+        rows = values.select(F.bitmap_bucket_number(place).alias("bucket"), F.bitmap_bit_position(place).alias("bit"))
+        bits = np.zeros((1 << SIEVE_BITS) // 8, np.uint8)
+        for r in rows.groupBy("bucket").agg(F.bitmap_construct_agg("bit").alias("map")).toLocalIterator():  # at most 2^SIEVE_BITS bits
+            at = (r["bucket"] - 1) * len(r["map"])
+            bits[at : at + len(r["map"])] = np.frombuffer(r["map"], np.uint8)[: len(bits) - at]
+        self.bits = values.sparkSession.sparkContext.broadcast(bits)
+
+    def maybe(self, column: str | Column) -> Column:
+        """Whether a long column's value may be a member; null for null."""
+        held = self.bits
+
+        @F.pandas_udf("boolean")
+        def test(x: pd.Series) -> pd.Series:
+            return pd.Series(in_sieve(held.value, x.fillna(0).to_numpy(np.int64)))
+
+        column = F.col(column) if isinstance(column, str) else column
+        return F.when(column.isNotNull(), test(column))
+
+
+def in_sieve(bits: np.ndarray, x: np.ndarray) -> np.ndarray:
+    at = x & ((1 << SIEVE_BITS) - 1)
+    return (bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+
+
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value) with value computed once: a lambda's variable is held, a column expression would be copied."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def running(values: Column, start: Column, step: Callable[[Column, Column], Column]) -> Column:
+    """Running results of ``step`` (associative, ``start`` neutral) over an array of longs, in blocks of about the square
+    root of its size: an array grows only inside its block."""
+    none = F.array().cast("array<bigint>")
+    last = lambda a: F.coalesce(F.try_element_at(a, F.lit(-1)), start)
+    grow = lambda acc, x: F.concat(acc, F.array(step(last(acc), x)))
+
+    def blocks(x: Column) -> Column:
+        return let(F.greatest(F.ceil(F.sqrt(F.size(x).cast("double"))).cast("int"), F.lit(1)), lambda n: F.transform(F.sequence(F.lit(0), n - 1), lambda j: F.aggregate(F.slice(x, j * n + 1, n), none, grow)))
+
+    def joined(inner: Column) -> Column:
+        before = F.aggregate(F.transform(inner, last), F.array(start), grow)
+        return let(before, lambda base: F.flatten(F.transform(inner, lambda own, j: F.transform(own, lambda x: step(F.get(base, j), x)))))
+
+    return let(let(values, blocks), joined)
+
+
 def arrow_schema(**kinds: str) -> pa.Schema:
     names = {"long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "string": pa.string(), "binary": pa.binary(), "boolean": pa.bool_(), "longs": pa.list_(pa.int64()), "ints": pa.list_(pa.int32())}
     return pa.schema([(k, names[v]) for k, v in kinds.items()])

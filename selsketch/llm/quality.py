@@ -12,7 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import docs_of, text_column
+from .common import docs_of, let, text_column
 
 WORD = r"[^\x20\x09-\x0D]+"
 SYMBOLS = r"[^#*$%&|<>]+"
@@ -35,11 +35,6 @@ CLASS_DISTANCE, CLASS_GUARD = 0.3, 200
 WORD_DISTANCE, WORD_GUARD = 0.261, 100
 
 
-def let(value: Column, use: Callable[[Column], Column]) -> Column:
-    """use(value) with value computed once: a lambda's variable is held, a column expression would be copied."""
-    return F.get(F.transform(F.array(value), use), F.lit(0))
-
-
 def js_distance(shares: list[Column], reference: list[float]) -> Column:
     """Square root of the base-2 Jensen-Shannon divergence, 0 to 1."""
     total = F.lit(0.0)

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, docs_of, hot_join, text_column
+from .common import Scratch, docs_of, hot_join, let, running, text_column
 
 #: Kinds and patterns, in the order that breaks ties of the start.
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -43,20 +43,19 @@ def _spans(text: Column, kind: str, order: int) -> Column:
     value = F.regexp_extract_all(text, pattern, F.lit(2)) if kind == "assign" else found
     if kind == "private":
         value = F.transform(F.regexp_extract_all(text, pattern, F.lit(1)), lambda b: F.regexp_replace(b, LAYOUT, ""))
-    step = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<struct<start:long,end:long,o:int,kind:string,value:string>>").alias("out"))
+    none = F.array().cast("array<struct<start:long,end:long,o:int,kind:string,value:string>>")
     rows = F.arrays_zip(F.transform(pieces, F.length).alias("gap"), found.alias("found"), value.alias("value"))
+    rows = F.filter(rows, lambda x: x["found"].isNotNull())
 
-    def add(acc: Column, x: Column) -> Column:
-        start = acc["at"] + x["gap"]
-        end = start + F.length(x["found"])
-        one = F.struct(start.alias("start"), end.alias("end"), F.lit(order).alias("o"), F.lit(kind).alias("kind"), x["value"].alias("value"))
-        return F.struct(end.alias("at"), F.concat(acc["out"], F.array(one)).alias("out"))
+    def placed(x: Column) -> Column:
+        ends = running(F.transform(x, lambda y: (y["gap"] + F.length(y["found"])).cast("long")), F.lit(0).cast("long"), lambda a, b: a + b)
+        one = lambda y, end: F.struct((end - F.length(y["found"])).alias("start"), end.alias("end"), F.lit(order).alias("o"), F.lit(kind).alias("kind"), y["value"].alias("value"))
+        return F.zip_with(x, ends, one)
 
-    rows = F.filter(rows, lambda x: x["found"].isNotNull())
-    spans = F.aggregate(rows, step, add)["out"]
+    spans = let(rows, placed)
     if kind == "assign":
         spans = F.filter(spans, lambda s: F.length(s["value"]) >= LEAST_VALUE)
-    return F.when(text.rlike(KINDS[kind]), spans).otherwise(step["out"])
+    return F.when(text.rlike(KINDS[kind]), spans).otherwise(none)
 
 
 def _listed(spans: Column) -> Column:
@@ -84,7 +83,7 @@ def secrets(docs: DataFrame, text: str = "text", repo: str = "doc_id", owner: st
 
     ``t`` is a hash of the text, which with doc_id tells repeated rows apart.  Null or empty texts have no spans.  A null
     owner or repository counts as none, so such a value looks live.  Spans of different kinds may overlap.  The value of a
-    private key is its body; a header without any holds no key and is never live.
+    private key is its body; a header without any holds no key and is never live.  Equal rows get equal spans, each once.
     """
     scratch = Scratch(docs.sparkSession)
     slim = docs.select("doc_id", text_column(text).alias("text"), F.col(repo).alias("repo"), F.col(owner).cast("string").alias("owner"))
@@ -115,23 +114,37 @@ def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def redacted(docs: DataFrame, text: str = "text", mark: str = "[SECRET]") -> DataFrame:
-    """docs with live-looking secrets replaced by ``mark`` (copied examples stay); n_chars, if there, follows the text."""
-    live = secrets(docs, text).select(F.col("doc_id").alias("_d"), F.col("t").alias("_t"), F.filter("found", lambda s: s["live"]).alias("_live"))
-    live = live.where("size(_live) > 0").dropDuplicates(["_d", "_t"])
-    body = text_column(text)
-    joined = docs.withColumn("_u", F.xxhash64(body)).join(live, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_u") == F.col("_t")), "left")
-    start = F.struct(F.lit(1).cast("long").alias("at"), F.lit("").alias("out"))
+def _cut(body: Column, live: Column, mark: str) -> Column:
+    """body without the spans of ``live`` (by start), each run of overlapping spans replaced by one mark.
+
+    Pieces are taken from the text in a code of four bytes a character, so each costs its own length wherever it stands.
+    """
+    longs = lambda name: F.transform(live, lambda s: s[name].cast("long"))
 
-    def cut(acc: Column, s: Column) -> Column:
-        # spans come by start; one that starts inside the last cut only lengthens it
-        gap = F.substring(body, acc["at"], s["start"] + 1 - acc["at"])
-        fresh = s["start"] + 1 >= acc["at"]
-        return F.struct(F.greatest(acc["at"], s["end"] + 1).alias("at"), F.when(fresh, F.concat(acc["out"], gap, F.lit(mark))).otherwise(acc["out"]).alias("out"))
+    def glued(wide: Column, start: Column, before: Column) -> Column:
+        # a span opens a run of its own where it starts at or behind all earlier ends; before: the furthest end so far
+        opens = F.filter(F.transform(start, lambda s, i: F.struct(s.alias("to"), F.get(before, i).alias("from"))), lambda g: g["to"] >= g["from"])
+        tail = F.array(F.struct((F.octet_length(wide) / 4).cast("long").alias("to"), F.try_element_at(before, F.lit(-1)).alias("from")))
+        piece = lambda g: F.decode(F.substring(wide, (g["from"] * 4 + 1).cast("int"), ((g["to"] - g["from"]) * 4).cast("int")), "UTF-32")
+        return F.array_join(F.transform(F.concat(opens, tail), piece), mark)
 
-    clean = F.aggregate("_live", start, cut, lambda acc: F.concat(acc["out"], F.substring(body, acc["at"], F.length(body))))
+    zero = F.lit(0).cast("long")
+    far = F.concat(F.array(zero), running(longs("end"), zero, lambda a, b: F.greatest(a, b)))
+    return let(F.encode(body, "UTF-32"), lambda wide: let(longs("start"), lambda start: let(far, lambda before: glued(wide, start, before))))
+
+
+def redacted(docs: DataFrame, text: str = "text", mark: str = "[SECRET]") -> DataFrame:
+    """docs with live-looking secrets replaced by ``mark`` (copied examples stay); n_chars, if there, follows the text.
+
+    Spans of several kinds that overlap become one mark.  Null texts stay null, texts without live secrets stay as they are,
+    and equal rows are treated alike.  Columns of docs may have any name but those starting with ``_redact_``.
+    """
+    live = secrets(docs, text).select(F.col("doc_id").alias("_redact_d"), F.col("t").alias("_redact_t"), F.filter("found", lambda s: s["live"]).alias("_redact_live"))
+    live = live.where("size(_redact_live) > 0").dropDuplicates(["_redact_d", "_redact_t"])
+    body = text_column(text)
+    joined = docs.withColumn("_redact_u", F.xxhash64(body)).join(live, F.col("doc_id").eqNullSafe(F.col("_redact_d")) & (F.col("_redact_u") == F.col("_redact_t")), "left")
     # a column of its own: beside an alias "text", a lambda's "text" would mean the new text
-    joined = joined.withColumn("_clean", F.when(F.col("_live").isNotNull(), clean).otherwise(F.col(text)))
-    length = F.when(F.col("_live").isNotNull(), F.length("_clean").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if "n_chars" in docs.columns else None
-    named = {c: F.col(c) for c in docs.columns} | {text: F.col("_clean").alias(text)} | ({"n_chars": length} if length is not None else {})
+    joined = joined.withColumn("_redact_new", F.when(F.col("_redact_live").isNotNull(), _cut(body, F.col("_redact_live"), mark)).otherwise(F.col(text)))
+    length = F.when(F.col("_redact_live").isNotNull(), F.length("_redact_new").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if "n_chars" in docs.columns else None
+    named = {c: F.col(c) for c in docs.columns} | {text: F.col("_redact_new").alias(text)} | ({"n_chars": length} if length is not None else {})
     return joined.select(*[named[c] for c in docs.columns])
