@@ -22,7 +22,7 @@ from .common import Scratch, docs_of, kept_in_worker, map_batches
 
 LENGTH = 1024
 SEPARATOR = 0
-CHUNK_ROWS = 20_000
+CHUNK_ROWS, SPAN = 20_000, 1_000
 
 
 def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
@@ -32,8 +32,11 @@ def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
 
 
 def _encoder(path: str) -> Callable[[str], list[int]]:
-    """Ids of the tokenizer file.  A byte-level BPE whose split is the usual one runs on the faster of the two libraries;
-    a text that this one refuses goes to the other."""
+    """Ids of the tokenizer file, special tokens in a text included, as ``Tokenizer.encode`` with its defaults gives them.
+
+    A plain byte-level BPE (ids in the order of the merges, usual split, special tokens without options of their own) runs on
+    the faster of the two libraries; any other file, and a text that the faster one refuses, goes to the other.
+    """
     import json
 
     import public_tokenizers
@@ -41,26 +44,26 @@ def _encoder(path: str) -> Callable[[str], list[int]]:
     from tokenizers import Tokenizer
 
     slow = Tokenizer.from_file(path)
-    slow.encode_special_tokens = True
     exact = lambda text: slow.encode(text, add_special_tokens=False).ids
     rest = json.loads(open(path, encoding="utf-8").read())
-    pre, model = rest.get("pre_tokenizer") or {}, rest["model"]
-    if pre.get("type") != "ByteLevel" or pre.get("add_prefix_space") or not pre.get("use_regex") or rest.get("normalizer") or rest.get("post_processor"):
+    pre, model, added = rest.get("pre_tokenizer") or {}, rest["model"], rest.get("added_tokens", [])
+    split = pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True) and not rest.get("normalizer")
+    options = ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges")
+    made = [model["vocab"].get("".join(m.split(" ") if isinstance(m, str) else m), -1) for m in model.get("merges", [])]
+    plain = model.get("type") == "BPE" and not any(model.get(k) for k in options) and made == sorted(made)
+    special = {x["content"]: x["id"] for x in added}
+    simple = not any(x.get(k) for x in added for k in ("lstrip", "rstrip", "single_word")) and not any(a != b and a in b for a in special for b in special)
+    if not (split and plain and simple and rest.get("truncation") is None and rest.get("padding") is None):
         return exact
     codes = [*range(33, 127), *range(161, 173), *range(174, 256)]
     back = {chr(c): c for c in codes} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in set(codes))}
-    ranks = {bytes(back[c] for c in piece): i for piece, i in model["vocab"].items() if all(c in back for c in piece)}
-    special = {x["content"] for x in rest.get("added_tokens", [])}
-    for text in special:
-        ranks.pop(text.encode(), None)
-    fast = tiktoken.Encoding("file", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-    probe = "It's 12 words,\n\n  über naïve —\t#x_1!! <|endoftext|>"
-    if fast.encode_ordinary(probe) != exact(probe):
-        return exact
+    ranks = {bytes(back[c] for c in piece): i for piece, i in model["vocab"].items() if piece not in special and all(c in back for c in piece)}
+    fast = tiktoken.Encoding("file", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=special)
+    names = set(special)
 
     def encode(text: str) -> list[int]:
         try:
-            return fast.encode_ordinary(text)
+            return fast.encode(text, allowed_special=names, disallowed_special=())
         except BaseException as e:  # the library's panics aren't Exceptions
             if isinstance(e, (KeyboardInterrupt, SystemExit, MemoryError)):
                 raise
@@ -150,10 +153,13 @@ def pack(docs: DataFrame, length: int = LENGTH, tokenizer: str | None = None, id
     chunks = max(64, sum(histogram.values()) // CHUNK_ROWS)
     chunked = cut.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(chunks)))
     counts = scratch.save(chunked.groupBy("length", "chunk").agg(F.count("*").alias("n")), "counts")
-    before = Window.partitionBy("length").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
-    base = counts.select("length", "chunk", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    counts = counts.withColumn("span", F.floor(F.col("chunk") / SPAN))  # prefix sums in two levels, so no task holds all chunks
+    spans = counts.groupBy("length", "span").agg(F.sum("n").alias("n"))
+    before = lambda *keys: Window.partitionBy("length", *keys[:-1]).orderBy(keys[-1]).rowsBetween(Window.unboundedPreceding, -1)
+    far = spans.select("length", "span", F.coalesce(F.sum("n").over(before("span")), F.lit(0)).alias("far"))
+    base = counts.join(far.hint("merge"), ["length", "span"]).select("length", "chunk", (F.col("far") + F.coalesce(F.sum("n").over(before("span", "chunk")), F.lit(0))).alias("base"))
     own = Window.partitionBy("length", "chunk").orderBy("doc_id", "start", "ids_crc32")
-    ranked = chunked.withColumn("rank", F.row_number().over(own) - 1).join(base, ["length", "chunk"])
+    ranked = chunked.withColumn("rank", F.row_number().over(own) - 1).join(base.hint("merge"), ["length", "chunk"])
     ranked = ranked.withColumn("rank", F.col("rank") + F.col("base")).drop("base", "chunk")
 
     def step(batch: pa.RecordBatch):
