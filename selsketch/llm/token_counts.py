@@ -2,13 +2,14 @@
 
 The vocabulary's trie gets failure links with precomputed numbers of popped tokens, so a word's greedy longest-match pieces
 are counted in one pass over its bytes, without backing up and without building a piece.  The pass runs over all distinct
-words of a slice at once, column by column.
+words of a slice at once, column by column; words longer than LONG bytes are passed one by one.
 """
 
 from __future__ import annotations
 
 import json
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -20,6 +21,7 @@ from .packing import vocabulary_path
 from .text import words_of
 
 _LOST = -1
+LONG = 64
 
 
 @dataclass
@@ -39,6 +41,34 @@ class Automaton:
 
     def counts(self, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         """Pieces of the words data[start:end]; a word with an unmatchable byte is one unknown piece."""
+        out, short = np.zeros(len(start), np.int64), end - start <= LONG
+        out[short] = self._columns(data, start[short], end[short])
+        for i in np.flatnonzero(~short):
+            out[i] = self.one(data[start[i] : end[i]].tobytes())
+        return out
+
+    @cached_property
+    def _moves(self) -> tuple[dict[int, int], list[int], list[int]]:
+        return dict(zip(self.keys.tolist(), self.goal.tolist(), strict=True)), self.fail.tolist(), self.pops.tolist()
+
+    def one(self, word: bytes) -> int:
+        goal, fail, pops = self._moves
+        state, pieces = self.entry, 0
+        for byte in word:
+            while (to := goal.get(state * 256 + byte)) is None:
+                pieces += pops[state]
+                state = fail[state]
+                if state == _LOST:
+                    return 1
+            state = to
+        while state:
+            pieces += pops[state]
+            state = fail[state]
+            if state == _LOST:
+                return 1
+        return pieces
+
+    def _columns(self, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         order = np.argsort(start - end, kind="stable")
         start, end = start[order], end[order]
         size = end - start
