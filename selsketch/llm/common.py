@@ -125,6 +125,14 @@ def in_sieve(bits: np.ndarray, x: np.ndarray) -> np.ndarray:
     return (bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
 
 
+def without(rows: DataFrame, gone: DataFrame, key: str = "doc_id") -> DataFrame:
+    """rows whose key is not in gone(key), null keys included; rows that a Sieve of gone rejects are not shuffled."""
+    gone = gone.select(F.col(key).alias("_gone_key")).where("_gone_key IS NOT NULL").distinct()
+    maybe = F.coalesce(Sieve(gone.select(F.xxhash64("_gone_key").alias("h")), "h").maybe(F.xxhash64(key)), F.lit(False))
+    rest = rows.where(maybe).join(gone.hint("merge"), F.col(key) == F.col("_gone_key"), "left_anti")
+    return rows.where(~maybe).unionByName(rest)
+
+
 def let(value: Column, use: Callable[[Column], Column]) -> Column:
     """use(value) with value computed once: a lambda's variable is held, a column expression would be copied."""
     return F.get(F.transform(F.array(value), use), F.lit(0))

@@ -3,16 +3,18 @@ evaluations fill a signature of the same length.
 
 Plan
  1. One scan: per document the size and a 128-bit hash of its shingle set, and its band keys (2 x PERMUTATIONS signature
-    values in bands of ROWS).  Documents with equal sets form a class; its smallest doc_id stands for it.
+    values in bands of ROWS; sets of at most SMALL shingles add the shingles of a prefix, which two sets that are linked
+    always share).  Documents with equal sets form a class; its smallest doc_id stands for it.
  2. Band keys that several classes share make groups around their smallest class.  Every pair of classes that shares a band
     key is inside the group of that key's smallest class.
  3. Exact verification on full sets: every member against the group's centre; links give components.
- 4. In groups that still hold several components, all members outside the largest one are compared with every member, in
-    blocks (a grid of BLOCK members by BLOCK probes), so nothing is capped and no pair becomes a row unless it is a link.
+ 4. In groups that still hold several components, all members outside the largest one are compared with every member whose
+    set is of like size, in blocks (a grid of BLOCK members by BLOCK probes), so nothing is capped and no pair becomes a row
+    unless it is a link.
  5. Components again over all links.
 
-The one source of loss is banding: a pair at exactly the threshold 0.75 shares no band with probability
-(1 - 0.75^4)^40 = 3e-7, less for more similar pairs.
+The one source of loss is banding, for pairs of which a set has more than SMALL shingles: a pair at exactly the threshold 0.75
+shares no band with probability (1 - 0.75^4)^40 = 3e-7, less for more similar pairs.
 """
 
 from __future__ import annotations
@@ -22,13 +24,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, docs_of, hot_join, map_batches, squeezed, unsqueezed
+from .common import Scratch, Sieve, docs_of, hot_join, map_batches, squeezed, unsqueezed
 from .components import components
 from .text import mix, signed, words_of
 
 WORDS, THRESHOLD = 5, 75
 PERMUTATIONS, ROWS = 80, 4
-BLOCK = 128
+BLOCK, SMALL = 128, 21
 _U = np.uint64
 
 
@@ -63,50 +65,68 @@ def min_max(shingle: np.ndarray, start: np.ndarray, n: int = PERMUTATIONS) -> np
 
 
 def band_keys(signature: np.ndarray, rows: int = ROWS) -> np.ndarray:
+    """Keys of the bands.  The values of a band come from different permutations, as the minimum and the maximum of one
+    permutation are not independent: minima of some permutations, maxima of the next band's."""
+    n = signature.shape[1] // 2
     bands = signature.shape[1] // rows
-    # a band takes values of unlike permutations: column i of the minima never meets column i of the maxima
     order = np.arange(bands * rows).reshape(rows, bands)
+    order = np.where(order < n, order, n + np.roll(order, -1, axis=1) % n)
     key = np.broadcast_to(mix(np.arange(1, bands + 1, dtype=_U)), (len(signature), bands)).copy()
     for j in range(rows):
         key = mix(key * _U(31) + signature[:, order[j]])
     return key
 
 
-def signatures(docs: DataFrame, k: int = WORDS, permutations: int = PERMUTATIONS, rows: int = ROWS) -> DataFrame:
-    """(doc_id, n_shingles, s1, s2, bands): one row per document; bands is null where there are no words."""
+def prefix_keys(shingle: np.ndarray, start: np.ndarray, size: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
+    """(set, key): of the small sets, the smallest shingles, so many that any two linked sets have one of them in common."""
+    length = np.where(size <= SMALL, size - -(-threshold * size // 100) + 1, 0)
+    of = np.repeat(np.arange(len(size)), size)
+    near = np.arange(len(shingle)) - np.repeat(start, size) < length[of]
+    return of[near], mix(shingle[near] ^ _U(0xA24BAED4963EE407))
+
+
+def signatures(docs: DataFrame, k: int = WORDS, permutations: int = PERMUTATIONS, rows: int = ROWS, threshold: int = THRESHOLD) -> DataFrame:
+    """(doc_id, n_shingles, s1, s2, bands): one row per document; bands is empty where there are no words."""
 
     def step(batch: pa.RecordBatch):
         ids = batch.column("doc_id")
         for lo, full, start, shingle, n in shingle_sets(batch.column("text"), k):
             size, s1, s2 = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, np.int64)
-            width = 2 * permutations // rows
-            at = np.zeros(n + 1, np.int32)
+            at, keys = np.zeros(n + 1, np.int64), np.zeros(0, np.int64)
             if len(full):
                 size[full] = np.diff(np.append(start, len(shingle)))
-                s1[full] = signed(np.add.reduceat(mix(shingle), start))
-                s2[full] = signed(np.add.reduceat(mix(shingle ^ _U(0x5851F42D4C957F2D)), start))
-                keys = signed(band_keys(min_max(shingle, start, permutations), rows)).ravel()
-                at[1:][full] = width
-            else:
-                keys = np.zeros(0, np.int64)
-            bands = pa.ListArray.from_arrays(pa.array(np.cumsum(at, dtype=np.int32)), pa.array(keys))
+                s1[full], s2[full] = _set_hash(shingle, start)
+                bands = band_keys(min_max(shingle, start, permutations), rows)
+                of, extra = prefix_keys(shingle, start, size[full], threshold)
+                of = np.concatenate([np.repeat(np.arange(len(full)), bands.shape[1]), of])
+                keys = signed(np.concatenate([bands.ravel(), extra])[np.argsort(of, kind="stable")])
+                at[1:][full] = np.bincount(of, minlength=len(full))
+            bands = pa.ListArray.from_arrays(pa.array(np.cumsum(at).astype(np.int32)), pa.array(keys))
             yield {"doc_id": ids.slice(lo, n), "n_shingles": size, "s1": s1, "s2": s2, "bands": bands}
 
     return map_batches(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), step, doc_id="long", n_shingles="long", s1="long", s2="long", bands="longs")
 
 
+def _set_hash(shingle: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    return signed(np.add.reduceat(mix(shingle), start)), signed(np.add.reduceat(mix(shingle ^ _U(0x5851F42D4C957F2D)), start))
+
+
 def _sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
-    """Full shingle sets of the documents in wanted(c)."""
-    packed = squeezed(docs.select(F.col("doc_id").cast("long").alias("c"), F.col("text").cast("string")), ["c"])
+    """(c, t, shingles): full shingle sets of the documents in wanted(c); t tells the texts of one id apart.  Only texts that
+    a Sieve of the wanted ids lets through are compressed and shuffled."""
+    ids = wanted.select("c").distinct()
+    sieve = Sieve(ids.select(F.xxhash64("c").alias("h")), "h")
+    near = docs.select(F.col("doc_id").cast("long").alias("c"), F.col("text").cast("string"))
+    packed = squeezed(near.where(sieve.maybe(F.when(F.col("c").isNotNull(), F.xxhash64("c")))), ["c"])
 
     def step(batch: pa.RecordBatch):
         ids = batch.column("c")
         for lo, full, start, shingle, _ in shingle_sets(unsqueezed(batch.column("packed")), k):
             if len(full):
                 ptr = np.append(start, len(shingle)).astype(np.int32)
-                yield {"c": ids.take(pa.array(lo + full)), "shingles": pa.ListArray.from_arrays(pa.array(ptr), pa.array(signed(shingle)))}
+                yield {"c": ids.take(pa.array(lo + full)), "t": _set_hash(shingle, start)[0], "shingles": pa.ListArray.from_arrays(pa.array(ptr), pa.array(signed(shingle)))}
 
-    return map_batches(packed.join(wanted.hint("merge"), "c").dropDuplicates(["c"]), step, c="long", shingles="longs")
+    return map_batches(packed.join(ids.hint("merge"), "c").dropDuplicates(["c", "packed"]), step, c="long", t="long", shingles="longs")
 
 
 def _grid_links(threshold: int):
@@ -139,9 +159,16 @@ def _grid_links(threshold: int):
 
 
 def _verify(cells: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
-    """cells(g, m, p, c, probe) with the sets of c -> links(a, b) between probes and members of each cell g, m, p."""
-    weights = cells.groupBy("c").agg(F.count("*").alias("w"))
-    return hot_join(cells, sets, ["c"], "w", weights=weights).groupBy("g", "m", "p").applyInArrow(_grid_links(threshold), "a long, b long")
+    """cells(g, z, m, p, c, t, probe) with the sets of c, t -> links(a, b) between probes and members of each cell g, z, m, p."""
+    weights = cells.groupBy("c", "t").agg(F.count("*").alias("w"))
+    return hot_join(cells, sets, ["c", "t"], "w", weights=weights).groupBy("g", "z", "m", "p").applyInArrow(_grid_links(threshold), "a long, b long")
+
+
+def _same_id(full: DataFrame, classes: DataFrame, scratch: Scratch) -> DataFrame:
+    """links(a, b) that hold the texts of a repeated doc_id together: between the id and the classes of its texts."""
+    texts = full.select("doc_id", "s1", "s2", "n_shingles").distinct()
+    several = scratch.save(texts.groupBy("doc_id").agg(F.count("*").alias("w")).where("w > 1"), "several")
+    return hot_join(texts, several, ["doc_id"], "w").join(classes.hint("merge"), ["s1", "s2", "n_shingles"]).select(F.col("doc_id").alias("a"), F.col("c").alias("b"))
 
 
 def near_duplicates(docs: DataFrame, k: int = WORDS, threshold: int = THRESHOLD, permutations: int = PERMUTATIONS, rows: int = ROWS) -> DataFrame:
@@ -149,39 +176,46 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, threshold: int = THRESHOLD,
 
     A document's set: distinct k-word shingles of the lower-cased words; fewer words make one shingle; null or empty texts
     have an empty set and are linked with nothing (component_id is their own doc_id, kept).  Rows that repeat a doc_id
-    each give a row.  Null doc_ids stay alone: component_id null, kept true.  Other columns are ignored.
+    each give a row; they are one document, so all of them with words are in one component, with what any of them is linked
+    with.  Null doc_ids stay alone: component_id null, kept true.  Other columns are ignored.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark)
-    sig = scratch.save(signatures(docs, k, permutations, rows), "signatures")
+    sig = scratch.save(signatures(docs, k, permutations, rows, threshold), "signatures")
     full = sig.where("n_shingles > 0 AND doc_id IS NOT NULL")
     classes = scratch.save(full.groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("c"), F.count("*").alias("w")), "classes")
-    stand = full.join(classes.select("c", "s1", "s2", "n_shingles"), [F.col("doc_id") == F.col("c"), *[full[x] == classes[x] for x in ("s1", "s2", "n_shingles")]])
-    keyed = stand.select("c", F.explode("bands").alias("key"))
+    same = ["doc_id", "s1", "s2", "n_shingles"]
+    once = full.groupBy(*same).agg(F.first("bands").alias("bands"))
+    stand = once.join(classes.select(F.col("c").alias("doc_id"), *same[1:]).hint("merge"), same)
+    # sets of unlike size can't be linked: sizes whose ratio is within the threshold are in the same or in adjacent classes z
+    size = F.floor(F.log(F.col("n_shingles").cast("double")) / F.lit(float(np.log(100 / threshold * 1.0001)))).cast("int")
+    keyed = stand.select(F.col("doc_id").alias("c"), F.col("s1").alias("t"), size.alias("z"), F.explode("bands").alias("key"))
     shared = scratch.save(keyed.groupBy("key").agg(F.min("c").alias("g"), F.count("*").alias("w")).where("w > 1"), "shared")
-    member = scratch.save(hot_join(keyed, shared, ["key"], "w").select("g", "c").distinct(), "members")
-    wanted = member.select("c").distinct()
-    sets = scratch.save(_sets(docs, wanted, k), "sets")
+    member = scratch.save(hot_join(keyed, shared, ["key"], "w").select("g", "c", "t", "z").distinct(), "members")
+    sets = scratch.save(_sets(docs, member, k), "sets")
 
     sized = member.groupBy("g").agg(F.count("*").alias("n"))
     grid = hot_join(member, scratch.save(sized.withColumn("w", F.col("n")), "sized"), ["g"], "w")
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    cell = F.pmod(F.xxhash64("c"), blocks).cast("int")
     zero = F.lit(0).cast("int")
-    others = grid.where("c <> g").select("g", cell.alias("m"), zero.alias("p"), "c", F.lit(False).alias("probe"))
-    centres = grid.where("c = g").select("g", F.explode(F.sequence(zero, blocks - 1)).alias("m"), zero.alias("p"), "c", F.lit(True).alias("probe"))
-    first = scratch.save(_verify(scratch.save(others.union(centres), "cells"), sets, threshold), "links")
+    blocks = lambda n: F.ceil(F.col(n) / BLOCK).cast("int")
+    turn = lambda n, seed: F.pmod(F.xxhash64("c", "t", F.lit(seed)), blocks(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(zero, blocks(n) - 1))
+    others = grid.where("c <> g").select("g", zero.alias("z"), turn("n", 0).alias("m"), zero.alias("p"), "c", "t", F.lit(False).alias("probe"))
+    centres = grid.where("c = g").select("g", zero.alias("z"), every("n").alias("m"), zero.alias("p"), "c", "t", F.lit(True).alias("probe"))
+    first = _verify(scratch.save(others.union(centres), "cells"), sets, threshold)
+    first = scratch.save(first.union(_same_id(full, classes, scratch)), "links")
 
     label = components(first, scratch)
     placed = scratch.save(grid.join(label.withColumnRenamed("node", "c"), "c", "left").withColumn("component", F.coalesce("component", "c")), "placed")
     parts = placed.groupBy("g", "component").agg(F.count("*").alias("n_part"))
     mixed = parts.groupBy("g").agg(F.count("*").alias("parts"), F.max(F.struct("n_part", "component")).alias("most"), F.sum("n_part").alias("w")).where("parts > 1")
-    mixed = scratch.save(mixed.select("g", F.col("most.component").alias("main"), (F.col("w") - F.col("most.n_part")).alias("n_rest"), "w"), "mixed")
-    left = hot_join(placed, mixed, ["g"], "w")
-    probes = F.ceil(F.col("n_rest") / BLOCK).cast("int")
-    turn = F.pmod(F.xxhash64("c", F.lit(1)), probes).cast("int")
-    members = left.select("g", cell.alias("m"), F.explode(F.sequence(zero, probes - 1)).alias("p"), "c", F.lit(False).alias("probe"))
-    probing = left.where("component <> main").select("g", F.explode(F.sequence(zero, blocks - 1)).alias("m"), turn.alias("p"), "c", F.lit(True).alias("probe"))
+    mixed = scratch.save(mixed.select("g", F.col("most.component").alias("main"), "w"), "mixed")
+    left = scratch.save(hot_join(placed, mixed, ["g"], "w").select("g", "z", "c", "t", (F.col("component") != F.col("main")).alias("apart")), "left")
+    probes = left.where("apart").select("g", F.explode(F.sequence(F.col("z") - 1, F.col("z") + 1)).alias("z"), "c", "t")
+    load = left.groupBy("g", "z").agg(F.count("*").alias("n")).join(probes.groupBy("g", "z").agg(F.count("*").alias("q")), ["g", "z"])
+    load = scratch.save(load.withColumn("w", F.col("n") + F.col("q")), "load")
+    members = hot_join(left.drop("apart"), load, ["g", "z"], "w").select("g", "z", turn("n", 0).alias("m"), every("q").alias("p"), "c", "t", F.lit(False).alias("probe"))
+    probing = hot_join(probes, load, ["g", "z"], "w").select("g", "z", every("n").alias("m"), turn("q", 1).alias("p"), "c", "t", F.lit(True).alias("probe"))
     second = scratch.save(_verify(scratch.save(members.union(probing), "cells"), sets, threshold), "links")
 
     final = components(first.union(second), scratch) if second.take(1) else label
