@@ -35,27 +35,31 @@ LEAST_VALUE = 6
 EXAMPLE_OWNERS = 3
 
 
-def _spans(text: Column, kind: str, order: int) -> Column:
-    """array<struct(start, end, kind order, kind, value)> of the pattern's leftmost non-overlapping matches."""
+_SPAN = "struct<start:long,end:long,o:int,kind:string,value:string>"
+
+
+def _matches(text: Column, kind: str) -> Column:
+    """array<struct(gap, found, value)> of the pattern's leftmost non-overlapping matches, gap the text before each."""
     pattern = F.lit(KINDS[kind])
     found = F.regexp_extract_all(text, pattern, F.lit(0))
     pieces = F.split(text, KINDS[kind], -1)
     value = F.regexp_extract_all(text, pattern, F.lit(2)) if kind == "assign" else found
     if kind == "private":
         value = F.transform(F.regexp_extract_all(text, pattern, F.lit(1)), lambda b: F.regexp_replace(b, LAYOUT, ""))
-    none = F.array().cast("array<struct<start:long,end:long,o:int,kind:string,value:string>>")
     rows = F.arrays_zip(F.transform(pieces, F.length).alias("gap"), found.alias("found"), value.alias("value"))
     rows = F.filter(rows, lambda x: x["found"].isNotNull())
+    return F.when(text.rlike(KINDS[kind]), rows).otherwise(F.array().cast("array<struct<gap:int,found:string,value:string>>"))
+
+
+def _placed(kind: Column) -> Column:
+    """The spans of kind(o, kind, rows)."""
 
-    def placed(x: Column) -> Column:
-        ends = running(F.transform(x, lambda y: (y["gap"] + F.length(y["found"])).cast("long")), F.lit(0).cast("long"), lambda a, b: a + b)
-        one = lambda y, end: F.struct((end - F.length(y["found"])).alias("start"), end.alias("end"), F.lit(order).alias("o"), F.lit(kind).alias("kind"), y["value"].alias("value"))
-        return F.zip_with(x, ends, one)
+    def spans(rows: Column) -> Column:
+        ends = running(F.transform(rows, lambda y: (y["gap"] + F.length(y["found"])).cast("long")), F.lit(0).cast("long"), lambda a, b: a + b)
+        one = lambda y, end: F.struct((end - F.length(y["found"])).alias("start"), end.alias("end"), kind["o"].alias("o"), kind["kind"].alias("kind"), y["value"].alias("value"))
+        return F.filter(F.zip_with(rows, ends, one), lambda s: (s["kind"] != "assign") | (F.length(s["value"]) >= LEAST_VALUE))
 
-    spans = let(rows, placed)
-    if kind == "assign":
-        spans = F.filter(spans, lambda s: F.length(s["value"]) >= LEAST_VALUE)
-    return F.when(text.rlike(KINDS[kind]), spans).otherwise(none)
+    return F.when(F.size(kind["rows"]) > 0, let(kind["rows"], spans)).otherwise(F.array().cast(f"array<{_SPAN}>"))
 
 
 def _listed(spans: Column) -> Column:
@@ -65,8 +69,8 @@ def _listed(spans: Column) -> Column:
 def scan(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with ``found``: every span of every kind, by start, then kind; values as SHA-256."""
     body = text_column(text)
-    parts = [_spans(body, kind, i) for i, kind in enumerate(KINDS)]
-    found = F.array_sort(F.concat(*parts))
+    kinds = F.array(*[F.struct(F.lit(i).alias("o"), F.lit(kind).alias("kind"), _matches(body, kind).alias("rows")) for i, kind in enumerate(KINDS)])
+    found = F.array_sort(F.flatten(F.transform(kinds, _placed)))
     found = F.transform(found, lambda s: F.struct(s["start"], s["end"], s["kind"].alias("kind"), F.sha2(s["value"], 256).alias("value")))
     return docs.withColumn("found", found)
 
