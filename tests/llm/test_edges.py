@@ -58,6 +58,25 @@ def test_near_duplicates(docs):
     assert got[None] == [(56, None, True)]
 
 
+def test_several_texts_of_one_id_keep_all_their_links(spark):
+    a, b, c, d = (" ".join(f"{x}{i}" for i in range(40)) for x in "abcd")
+    rows_ = [(1, a), (1, b), (2, a + " z"), (3, b + " z"), (9, c), (9, d), (7, c + " y"), (5, d + " y"), (9, ""), (12, a)]
+    for order in (rows_, rows_[::-1]):
+        got = near_dup.near_duplicates(spark.createDataFrame(order, "doc_id long, text string")).collect()
+        assert sorted((r["doc_id"], r["n_shingles"] > 0, r["component_id"]) for r in got) == sorted([(1, True, 1), (1, True, 1), (2, True, 1), (3, True, 1), (9, True, 5), (9, True, 5), (7, True, 5), (5, True, 5), (9, False, 9), (12, True, 1)])
+
+
+def test_small_sets_are_linked_for_certain(spark):
+    rng = __import__("numpy").random.default_rng(3)
+    rows_, i = [], 0
+    for _ in range(1500):  # pairs that share exactly 3 of 4 shingles
+        w = [f"w{x}" for x in rng.integers(0, 10**9, 8)]
+        rows_ += [(i, " ".join(w)), (i + 1, " ".join(w[:7]))]
+        i += 2
+    got = {r["doc_id"]: r["component_id"] for r in near_dup.near_duplicates(spark.createDataFrame(rows_, "doc_id long, text string")).collect()}
+    assert all(got[j + 1] == j for j in range(0, i, 2))
+
+
 def test_substring(docs):
     got = {r["doc_id"]: r for r in substring.without_repeats(docs).collect()}
     assert (got[0]["n_words"], got[0]["n_removed"]) == (0, 0) and got[4]["n_removed"] == 0 and got[5]["n_removed"] == 60

@@ -314,15 +314,33 @@ def test_pipeline_against_brute_force(spark, small, texts):
     assert {r["doc_id"] for r in corpus_pipeline.run(spark, small).collect()} == out
 
 
-def test_substring_brute_force(spark, small, texts):
+def test_substring_on_branching_and_nested_passages(spark):
+    rng = np.random.default_rng(11)
+    w = lambda n: [f"v{x}" for x in rng.integers(0, 3, n)]
+    blocks = [w(n) for n in (60, 75, 120, 200, 33, 55)]
+    made = {}
+    for i in range(60):
+        parts = [blocks[j] if rng.random() < 0.6 else w(rng.integers(1, 40)) for j in rng.integers(0, 6, rng.integers(1, 8))]
+        made[int(rng.integers(0, 10**6))] = " ".join(x for p in parts for x in p[rng.integers(0, 5) : len(p) - rng.integers(0, 5)])
+    made |= {10**7 + i: made[k] for i, k in enumerate(list(made)[:10])}
+    df = spark.createDataFrame(list(made.items()) + [(k, made[k]) for k in list(made)[3:6]], "doc_id long, text string")
+    check_substring(made, substring.without_repeats(df, window=20, k=4).collect(), 20)
+
+
+def check_substring(texts, rows, size):
     first: dict[tuple, int] = {}
     words = {i: WORD.findall(t) for i, t in texts.items()}
     for i in sorted(words):
-        for j in range(len(words[i]) - 49):
-            first.setdefault(tuple(words[i][j : j + 50]), i)
-    for r in substring.op3_substring_dedup(spark, small).collect():
+        for j in range(len(words[i]) - size + 1):
+            first.setdefault(tuple(words[i][j : j + size]), i)
+    for r in rows:
         w, gone = words[r["doc_id"]], set()
-        for j in range(len(w) - 49):
-            if first[tuple(w[j : j + 50])] < r["doc_id"]:
-                gone |= set(range(j, j + 50))
+        for j in range(len(w) - size + 1):
+            if first[tuple(w[j : j + size])] < r["doc_id"]:
+                gone |= set(range(j, j + size))
         assert (r["n_words"], r["n_removed"]) == (len(w), len(gone))
+
+
+def test_substring_brute_force(spark, small, texts):
+    check_substring(texts, substring.op3_substring_dedup(spark, small).collect(), 50)
+
