@@ -66,33 +66,30 @@ class Scratch:
                     path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how: str = "inner", broadcast_rows: int = 0, weights: DataFrame | None = None) -> DataFrame:
+def hot_join(big: DataFrame, small: DataFrame, keys: list[str], weight: str, how: str = "inner", weights: DataFrame | None = None) -> DataFrame:
     """big JOIN small on ``keys`` (unique in small) where few keys may hold most rows of big.
 
     ``weight`` is the number of big's rows of the key: a column of small, or of ``weights`` (keys, weight), which spares a
     small of large rows one shuffle.  Keys above HOT_SHARE of the rows, at most 1/HOT_SHARE of them, are broadcast; their
-    rows then spread evenly over the shuffle of the others.  ``how``: inner or left.  A small of at most ``broadcast_rows``
-    rows, counted first, is broadcast whole.  Otherwise the join is a merge at every size.
+    rows then spread evenly over the shuffle of the others.  Column names that start with ``_join_`` are reserved.  ``how``: inner or left.  The join is a merge at every size.
     """
     counted = small if weights is None else weights
     values = [c for c in small.columns if c not in keys and c != weight]
-    total, n = counted.agg(F.coalesce(F.sum(weight), F.lit(0)), F.count("*")).first()
-    if n <= broadcast_rows:
-        return big.join(F.broadcast(small.select(*keys, *values)), keys, how).select(*big.columns, *values)
+    total = counted.agg(F.coalesce(F.sum(weight), F.lit(0))).first()[0]
     least = max(int(total * HOT_SHARE), _HOT_LEAST)
     names = counted.where(F.col(weight) >= least).select(*keys)
     if not names.take(1):
         return big.join(small.select(*keys, *values).hint("merge"), keys, how).select(*big.columns, *values)
     many, few = (small.where(F.col(weight) >= least), small.where(F.col(weight) < least)) if weights is None else (small.join(F.broadcast(names), keys, "left_semi"), small.join(F.broadcast(names), keys, "left_anti"))
-    rest = few.select(*keys, *values, F.lit(0).cast("long").alias("_salt"), F.lit(True).alias("_cold"))
-    hot = many.select(*keys, *[F.col(c).alias(f"_hot_{c}") for c in values], F.lit(True).alias("_hot"))
+    rest = few.select(*keys, *values, F.lit(0).cast("long").alias("_join_salt"), F.lit(True).alias("_join_cold"))
+    hot = many.select(*keys, *[F.col(c).alias(f"_join_hot_{c}") for c in values], F.lit(True).alias("_join_hot"))
     marked = big.join(F.broadcast(hot), keys, "left").withColumn(
-        "_salt", F.when(F.col("_hot"), 1 + F.pmod(F.xxhash64(*big.columns), F.lit(1 << 20))).otherwise(F.lit(0).cast("long"))
+        "_join_salt", F.when(F.col("_join_hot"), 1 + F.pmod(F.xxhash64(*big.columns), F.lit(1 << 20))).otherwise(F.lit(0).cast("long"))
     )
-    out = marked.join(rest.hint("merge"), [*keys, "_salt"], "left")
+    out = marked.join(rest.hint("merge"), [*keys, "_join_salt"], "left")
     if how == "inner":
-        out = out.where(F.col("_hot") | F.col("_cold"))
-    return out.select(*big.columns, *[F.when(F.col("_hot"), F.col(f"_hot_{c}")).otherwise(F.col(c)).alias(c) for c in values])
+        out = out.where(F.col("_join_hot") | F.col("_join_cold"))
+    return out.select(*big.columns, *[F.when(F.col("_join_hot"), F.col(f"_join_hot_{c}")).otherwise(F.col(c)).alias(c) for c in values])
 
 
 class Sieve:

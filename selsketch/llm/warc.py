@@ -1,6 +1,6 @@
 """WARC files as a Spark data source: ``spark.read.format("warc")`` and ``df.write.format("warc")``.
 
-Reading plans whole files into partitions of about equal bytes, takes predicates on the record type and on headers down to
+Reading plans files, and byte ranges of long compressed files, into partitions of about equal bytes, takes predicates on the record type and on headers down to
 the parser, reads a record's headers first and never inflates the rest of a record that isn't wanted: a gzip member says its
 own length (the ``sl`` extra field, which the writer sets), and a plain record its Content-Length.  Writing commits by a
 manifest, so files of lost or repeated task attempts are never read.
@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, EqualTo, Filter, In, InputPartition, IsNotNull, WriterCommitMessage
 
-from .common import Scratch, hot_join
+from .common import Scratch, Sieve, hot_join
 
 SCHEMA = "record_id string, record_type string, target_uri string, date string, refers_to string, payload_digest string, payload_bytes long, payload binary, headers map<string,string>, file string, offset long"
 #: Columns that come from a header of their own.
@@ -44,7 +44,9 @@ def _open_fs(path: str):
 
 @dataclass
 class Files(InputPartition):
-    paths: list
+    """(path, from, to): records that start in this range of bytes."""
+
+    parts: list
 
 
 def _parse(head: bytes) -> dict[str, str]:
@@ -77,9 +79,27 @@ def member(raw: bytes, level: int) -> bytes:
     return b"\x1f\x8b\x08\x04\0\0\0\0\0\xff" + struct.pack("<H2sHII", 12, b"sl", 8, size & 0xFFFFFFFF, len(raw) & 0xFFFFFFFF) + body + struct.pack("<II", zlib.crc32(raw), len(raw) & 0xFFFFFFFF)
 
 
-def _records(handle, size: int, compressed: bool, wanted, whole: bool) -> Iterator[tuple[int, dict[str, str], bytes | None]]:
-    """(offset, headers, block or None) of the records whose headers ``wanted`` accepts."""
-    at = 0
+def _first_member(handle, at: int, size: int) -> int:
+    """Where the first gzip member that holds a record starts, from ``at`` on."""
+    while at < size:
+        handle.seek(at)
+        data = handle.read(1 << 20)
+        found = data.find(b"\x1f\x8b\x08")
+        while found >= 0:
+            handle.seek(at + found)
+            try:
+                if zlib.decompressobj(31).decompress(handle.read(_PEEK), 16).startswith(b"WARC/"):
+                    return at + found
+            except zlib.error:
+                pass
+            found = data.find(b"\x1f\x8b\x08", found + 1)
+        at += max(len(data) - 2, 1)
+    return size
+
+
+def _records(handle, start: int, size: int, compressed: bool, wanted, whole: bool) -> Iterator[tuple[int, dict[str, str], bytes | None]]:
+    """(offset, headers, block or None) of the records that start in start..size and whose headers ``wanted`` accepts."""
+    at = _first_member(handle, start, size) if start else 0
     while at < size:
         handle.seek(at)
         if not compressed:
@@ -171,14 +191,19 @@ class WarcReader(DataSourceReader):
         else:
             found = store.get_file_info(fs.FileSelector(root, recursive=True))
             files = [(self.path.rstrip("/") + x.path[len(root.rstrip("/")) :], x.size) for x in found if x.path.endswith((".warc", ".warc.gz"))]
-        bins: list[list[str]] = []
+        # a plain file may quote another one, so only compressed members are found from any byte on
+        ranges = [(p, lo, min(lo + _PARTITION_BYTES, size)) for p, size in sorted(files) if size for lo in (range(0, size, _PARTITION_BYTES) if p.endswith(".gz") else [0])]
+        ranges = [(p, lo, hi if p.endswith(".gz") else None) for p, lo, hi in ranges]
+        sizes = dict(files)
+        bins: list[list[tuple]] = []
         filled = _PARTITION_BYTES
-        for path, size in sorted(files):
-            if filled + size > _PARTITION_BYTES:
+        for path, lo, hi in ranges:
+            held = (sizes[path] if hi is None else hi) - lo
+            if filled + held > _PARTITION_BYTES:
                 bins.append([])
                 filled = 0
-            bins[-1].append(path)
-            filled += size
+            bins[-1].append((path, lo, hi))
+            filled += held
         return [Files(b) for b in bins] or [Files([])]
 
     def _wanted(self, headers: dict[str, str]) -> bool:
@@ -191,10 +216,10 @@ class WarcReader(DataSourceReader):
     def read(self, partition: Files):
         made = pa.schema([(n, _KINDS[n]) for n in self.names])
         rows, held = [], 0
-        for path in partition.paths:
+        for path, lo, hi in partition.parts:
             store, at = _open_fs(path)
             with store.open_input_file(at) as handle:
-                for offset, headers, block in _records(handle, handle.size(), path.endswith(".gz"), self._wanted, self.payload):
+                for offset, headers, block in _records(handle, lo, handle.size() if hi is None else hi, path.endswith(".gz"), self._wanted, self.payload):
                     row = {c: _column(headers, c) for c in HEADERS}
                     payload, size = block, None
                     if "application/http" in headers.get("Content-Type", "") and block is not None:
@@ -319,6 +344,9 @@ def with_revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     Of equal payloads of at least ``least_bytes``, the page of the largest page_id is the response, the others revisit it.
     Rows that repeat this page_id with the same payload are responses too.  A null html is an empty payload; a null page_id
     is smaller than any other, and where all are null each is a response.  Other columns are ignored.
+
+    Roles are found on digests alone.  A payload is shuffled only where its page is the response of a group, or where a Sieve
+    can't tell: pages of a payload of their own are written straight from the scan, revisits need no payload.
     """
     scratch = Scratch(pages.sparkSession)
     payload = F.encode(F.coalesce(F.col("html"), F.lit("")), "UTF-8")
@@ -326,18 +354,25 @@ def with_revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     page = page.withColumn("digest", F.sha1("payload")).withColumn("payload_bytes", F.length("payload").cast("long"))
     groups = page.where(F.col("payload_bytes") >= least_bytes).groupBy("digest", "payload_bytes").agg(F.max("page_id").alias("response"), F.count("*").alias("w"))
     groups = scratch.save(groups.where("w > 1 AND response IS NOT NULL"), "groups")
-    roles = hot_join(page, groups, ["digest", "payload_bytes"], "w", "left", broadcast_rows=20_000)
+    key = F.xxhash64("digest", "payload_bytes")
+    copied = Sieve(groups.select(key.alias("k")), "k").maybe(key)
+
+    slim = page.where(copied).select("page_id", "target_uri", "digest", "payload_bytes")
     revisit = F.col("response").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("response"))
+    roles = scratch.save(hot_join(slim, groups, ["digest", "payload_bytes"], "w", "left").withColumn("revisit", revisit), "roles")
+    full = roles.where("NOT revisit").select(F.col("page_id").alias("_id"), F.col("digest").alias("_digest"), F.col("payload_bytes").alias("_bytes")).distinct()
+    own = F.xxhash64("page_id", "digest", "payload_bytes")
+    chosen = Sieve(full.select(F.xxhash64("_id", "_digest", "_bytes").alias("k")), "k").maybe(own)
+    same = F.col("page_id").eqNullSafe(F.col("_id")) & (F.col("digest") == F.col("_digest")) & (F.col("payload_bytes") == F.col("_bytes"))
+
     urn = lambda c: F.concat(F.lit("urn:page:"), F.coalesce(F.col(c).cast("string"), F.lit("none")))
-    return roles.select(
-        urn("page_id").alias("record_id"),
-        F.when(revisit, "revisit").otherwise("response").alias("record_type"),
-        "target_uri",
-        F.when(revisit, urn("response")).alias("refers_to"),
-        _base32("digest").alias("payload_digest"),
-        "payload_bytes",
-        F.when(~revisit, F.col("payload")).alias("payload"),
+    named = lambda rows, kind, refers, body: rows.select(
+        urn("page_id").alias("record_id"), F.lit(kind).alias("record_type"), "target_uri", refers.alias("refers_to"), _base32("digest").alias("payload_digest"), "payload_bytes", body.alias("payload")
     )
+    none = F.lit(None).cast("string")
+    parts = [page.where(~copied), page.where(copied).where(chosen).join(full.hint("merge"), same, "left_semi")]
+    responses = [named(rows, "response", none, F.col("payload")) for rows in parts]
+    return responses[0].union(responses[1]).union(named(roles.where("revisit"), "revisit", urn("response"), F.lit(None).cast("binary")))
 
 
 def _base32(hex_column: str):
