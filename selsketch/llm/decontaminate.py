@@ -4,24 +4,22 @@ Documents and benchmark items that share a seed of MIN_MATCH tokens are tiled: t
 marked are found by running Karp-Rabin hashes, marked on both sides and taken out, until no run of MIN_MATCH is left.  The
 share of the item's tokens under tiles is its coverage, which passages in another order reach as well.
 
-The benchmark is split into blocks of bounded size; each block's seed index is broadcast and joined with all documents in
-the scan, so documents are never shuffled.
+Seeds meet in a join: the scan of the documents emits only seeds that a Sieve of the benchmark's seeds lets through, however
+large the benchmark is.  Pairs whose shared seeds could cover enough are candidates; only their texts move, and an item's tokens
+go to the documents that need them.
 """
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import docs_of, map_batches, small_batches, union_all
-from .text import NON_ALNUM, words_of
+from .common import Scratch, Sieve, docs_of, hot_join, in_sieve, map_batches, squeezed, unsqueezed
+from .text import NON_ALNUM, Words, signed, words_of
 
 MIN_MATCH, COVERAGE = 5, 0.5
-BLOCK_BYTES = 8 << 20
 _U = np.uint64
 _BASE = _U(0xC2B2AE3D27D4EB4F)
 
@@ -78,86 +76,105 @@ def tiles(item: np.ndarray, text: np.ndarray, least: int = MIN_MATCH) -> list[tu
     return found
 
 
-def _index(items: list[tuple[int, str]], least: int) -> dict:
-    """Seeds of the items: sorted hashes with the item and the place of each."""
-    kept, seeds, owner, place, tokens = [], [], [], [], []
-    texts = pa.array([t for _, t in items], pa.large_string())
-    for lo, _, words in words_of(texts, NON_ALNUM, lower=True):
-        at = words.windows(least)
-        h, row = words.run_hash(at, at + least), words.row_of(at)
-        base = len(kept)
-        for r in range(words.rows):
-            kept.append(items[lo + r][0])
-            tokens.append(words.hash[words.ptr[r] : words.ptr[r + 1]])
-        seeds.append(h)
-        owner.append(row + base)
-        place.append(at - words.ptr[row])
-    join = lambda parts, kind: np.concatenate(parts).astype(kind) if parts else np.zeros(0, kind)
-    h, owner, place = join(seeds, _U), join(owner, np.int64), join(place, np.int64)
-    order = np.argsort(h, kind="stable")
-    return {"ids": kept, "tokens": tokens, "h": h[order], "owner": owner[order], "place": place[order]}
-
-
-def _hits(words, index: dict, least: int, coverage: float):
-    """(row, item, coverage, tiles, longest) of the rows of one slice."""
+def _row_hash(words: Words) -> np.ndarray:
+    return signed(words.run_hash(words.ptr[:-1], words.ptr[1:], 1))
+
+
+def _seeds(words: Words, least: int) -> tuple[np.ndarray, np.ndarray]:
     at = words.windows(least)
-    if not len(at) or not len(index["h"]):
-        return
-    seed = words.run_hash(at, at + least)
-    lo = np.searchsorted(index["h"], seed, "left")
-    hit = (lo < len(index["h"])) & (index["h"][np.minimum(lo, len(index["h"]) - 1)] == seed)
-    if not hit.any():
-        return
-    lo, hi = lo[hit], np.searchsorted(index["h"], seed[hit], "right")
-    row = words.row_of(at[hit])
-    n = hi - lo
-    pick = np.repeat(lo - np.append(0, np.cumsum(n)[:-1]), n) + np.arange(n.sum())
-    triple = np.unique(np.stack([np.repeat(row, n), index["owner"][pick], index["place"][pick]]), axis=1)
-    pair = np.append(True, (np.diff(triple[0]) != 0) | (np.diff(triple[1]) != 0))
-    start = np.flatnonzero(pair)
-    for a, b in zip(start, np.append(start[1:], triple.shape[1]), strict=True):
-        r, owner = int(triple[0, a]), int(triple[1, a])
-        item = index["tokens"][owner]
-        reach = np.zeros(len(item) + 1, np.int64)
-        np.add.at(reach, triple[2, a:b], 1)
-        np.add.at(reach, triple[2, a:b] + least, -1)
-        if (np.cumsum(reach) > 0).sum() < coverage * len(item):
-            continue  # even all shared seeds together cover too little
-        found = tiles(item, words.hash[words.ptr[r] : words.ptr[r + 1]], least)
-        share = sum(t[2] for t in found) / len(item)
-        if share >= coverage:
-            yield r, index["ids"][owner], share, len(found), max(t[2] for t in found)
-
-
-def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = MIN_MATCH, coverage: float = COVERAGE, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    return at, signed(words.run_hash(at, at + least))
+
+
+def _item_seeds(items: DataFrame, least: int) -> DataFrame:
+    """(item, n, h, place): the seeds of each token sequence of the benchmark, ``item`` its hash and n its length."""
+
+    def step(batch: pa.RecordBatch):
+        for _, _, words in words_of(batch.column("text"), NON_ALNUM, lower=True):
+            at, h = _seeds(words, least)
+            row = words.row_of(at)
+            yield {"item": _row_hash(words)[row], "n": words.counts()[row].astype(np.int64), "h": h, "place": (at - words.ptr[row]).astype(np.int32)}
+
+    return map_batches(items.select("text"), step, item="long", n="long", h="long", place="int").distinct()
+
+
+def _item_tokens(items: DataFrame) -> DataFrame:
+    """(item_id, item, tokens), one row per row."""
+
+    def step(batch: pa.RecordBatch):
+        ids = batch.column("item_id")
+        for lo, hi, words in words_of(batch.column("text"), NON_ALNUM, lower=True):
+            tokens = pa.ListArray.from_arrays(pa.array(words.ptr.astype(np.int32)), pa.array(signed(words.hash)))
+            yield {"item_id": ids.slice(lo, hi - lo), "item": _row_hash(words), "tokens": tokens}
+
+    return map_batches(items, step, item_id="long", item="long", tokens="longs")
+
+
+def _hits(docs: DataFrame, sieve: Sieve, least: int) -> DataFrame:
+    """(doc_id, t, h): the distinct seeds of each document that may be the benchmark's; t tells texts of one id apart."""
+
+    def step(batch: pa.RecordBatch):
+        ids = batch.column("doc_id")
+        for lo, _, words in words_of(batch.column("text"), NON_ALNUM, lower=True):
+            at, h = _seeds(words, least)
+            near = in_sieve(sieve.bits.value, h)
+            row, h = words.row_of(at[near]), h[near]
+            if len(h):
+                row, h = np.unique(np.stack([row, h]), axis=1)
+                yield {"doc_id": ids.take(pa.array(lo + row)), "t": _row_hash(words)[row], "h": h}
+
+    return map_batches(docs, step, doc_id="long", t="long", h="long")
+
+
+def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = MIN_MATCH, coverage: float = COVERAGE) -> DataFrame:
     """docs(doc_id, text), benchmark(item_id, text) -> (doc_id, item_id, coverage, n_tiles, longest), one row per leak.
 
     Tokens are lower-cased runs of letters and digits.  Null or empty texts leak nothing; an item of fewer than ``least``
     tokens can't be told from chance and matches nothing.  Repeated documents give repeated rows, repeated items one row
     each; a null id stays null.  Other columns are ignored.
     """
-    spark = docs.sparkSession
-    small_batches(spark)
-    named = benchmark.where(F.length("text") > 0).select(F.col("item_id").cast("long"), F.col("text").cast("string"))
-    total = named.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    blocks = math.ceil(2 * total / block_bytes) if total > block_bytes else 1
+    scratch = Scratch(docs.sparkSession)
+    items = benchmark.where(F.length("text") > 0).select(F.col("item_id").cast("long"), F.col("text").cast("string"))
     slim = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-
-    def scan(block: int) -> DataFrame:
-        own = named.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == block)
-        index = spark.sparkContext.broadcast(_index([(r["item_id"], r["text"]) for r in own.collect()], least))  # <= block_bytes
-
-        def step(batch: pa.RecordBatch):
-            ids = batch.column("doc_id")
-            for lo, _, words in words_of(batch.column("text"), NON_ALNUM, lower=True):
-                rows = list(_hits(words, index.value, least, coverage))
-                if rows:
-                    r, item, share, n, longest = zip(*rows, strict=True)
-                    yield {"doc_id": ids.take(pa.array([lo + x for x in r], pa.int64())), "item_id": list(item), "coverage": list(share), "n_tiles": list(n), "longest": list(longest)}
-
-        return map_batches(slim, step, doc_id="long", item_id="long", coverage="double", n_tiles="long", longest="long")
-
-    return union_all([scan(b) for b in range(blocks)])
+    seeds = scratch.save(_item_seeds(items, least), "seeds")
+    hits = scratch.save(_hits(slim, Sieve(seeds, "h"), least), "hits")
+    of_seed = seeds.groupBy("h").agg(F.collect_list(F.struct("item", "n", "place")).alias("places"))
+    weights = hits.groupBy("h").agg(F.count("*").alias("w"))
+    shared = hot_join(hits, of_seed, ["h"], "w", weights=weights).select("doc_id", "t", F.explode("places").alias("p"))
+    pairs = shared.groupBy("doc_id", "t", "p.item", "p.n").agg(F.collect_set("p.place").alias("places"))
+    reach = F.array_distinct(F.flatten(F.transform("places", lambda p: F.sequence(p, p + (least - 1)))))
+    pairs = scratch.save(pairs.where(F.size(reach) >= coverage * F.col("n")).select("doc_id", "t", "item"), "pairs")
+
+    tokens = scratch.save(_item_tokens(items), "tokens")
+    known = tokens.dropDuplicates(["item"]).select("item", "tokens")
+    given = hot_join(pairs, known, ["item"], "w", weights=pairs.groupBy("item").agg(F.count("*").alias("w")))
+    given = given.groupBy(F.col("doc_id").alias("d"), "t").agg(F.collect_list(F.struct("item", "tokens")).alias("items"))
+    ids = Sieve(pairs.select(F.xxhash64("doc_id").alias("k")), "k")
+
+    def marked(batch: pa.RecordBatch):
+        for lo, hi, words in words_of(unsqueezed(batch.column("packed")), NON_ALNUM, lower=True):
+            yield {"doc_id": batch.column("doc_id").slice(lo, hi - lo), "packed": batch.column("packed").slice(lo, hi - lo), "t": _row_hash(words)}
+
+    near = map_batches(squeezed(slim.where(ids.maybe(F.xxhash64("doc_id"))), ["doc_id"]), marked, doc_id="long", packed="binary", t="long").withColumnRenamed("t", "u")
+    meet = near.join(given.hint("merge"), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("u") == F.col("t"))).select("doc_id", "packed", "items")
+
+    def step(batch: pa.RecordBatch):
+        ids, rows = batch.column("doc_id").to_pylist(), []
+        for lo, _, words in words_of(unsqueezed(batch.column("packed")), NON_ALNUM, lower=True):
+            for r in range(words.rows):
+                own = words.hash[words.ptr[r] : words.ptr[r + 1]]
+                for x in batch.column("items")[lo + r].as_py():
+                    item = np.array(x["tokens"], np.int64).view(_U)
+                    found = tiles(item, own, least)
+                    share = sum(t[2] for t in found) / len(item)
+                    if share >= coverage:
+                        rows.append((ids[lo + r], x["item"], share, len(found), max(t[2] for t in found)))
+        if rows:
+            yield dict(zip(("doc_id", "item", "coverage", "n_tiles", "longest"), map(list, zip(*rows, strict=True)), strict=True))
+
+    leaks = scratch.save(map_batches(meet, step, doc_id="long", item="long", coverage="double", n_tiles="long", longest="long"), "leaks")
+    named = tokens.groupBy("item").agg(F.collect_list(F.struct("item_id")).alias("named"))  # a list of structs keeps null ids
+    out = hot_join(leaks, named, ["item"], "w", weights=leaks.groupBy("item").agg(F.count("*").alias("w")))
+    return out.select("doc_id", F.explode("named").alias("x"), "coverage", "n_tiles", "longest").select("doc_id", "x.item_id", "coverage", "n_tiles", "longest")
 
 
 def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

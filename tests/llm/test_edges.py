@@ -137,15 +137,29 @@ def test_contaminated(docs, none, bench):
     assert not decontaminate.contaminated(none, bench).collect() and not decontaminate.contaminated(docs, bench.limit(0)).collect()
 
 
-def test_reordered_passages_are_caught_in_blocks(spark):
+def test_reordered_passages_are_caught(spark):
     item = [f"t{i}" for i in range(40)]
     text = " ".join(["lead", *item[20:], "middle words here", *item[:20], "end"])
     docs = spark.createDataFrame([(1, text), (2, "nothing of it " * 20)], "doc_id long, text string")
     bench = spark.createDataFrame([(i, " ".join(item) if i == 7 else f"other item {i} with words of its own a b c") for i in range(50)], "item_id long, text string")
-    got = decontaminate.contaminated(docs, bench, block_bytes=300).collect()
+    got = decontaminate.contaminated(docs, bench).collect()
     assert [(r["doc_id"], r["item_id"], r["coverage"], r["n_tiles"]) for r in got] == [(1, 7, 1.0, 2)]
 
 
+def test_long_compressed_files_are_read_in_ranges(spark, tmp_path, monkeypatch):
+    warc.register(spark)
+    rows_ = [(f"urn:x:{i}", "response", f"http://h/{i}", hashlib.sha512(str(i).encode()).digest() * 40, None, None, None) for i in range(300)]
+    rows_ = spark.createDataFrame(rows_, "record_id string, record_type string, target_uri string, payload binary, refers_to string, payload_digest string, payload_bytes long").coalesce(1)
+    at = f"file://{tmp_path}/w"
+    rows_.write.format("warc").mode("append").save(at)
+    monkeypatch.setattr(warc, "_PARTITION_BYTES", 5000)
+    schema = spark.read.format("warc").load(at).schema
+    reader = warc.WarcReader({"path": at}, schema)
+    parts = reader.partitions()
+    got = [x for p in parts for b in reader.read(p) for x in b.column("record_id").to_pylist()]
+    assert len(parts) > 3 and sorted(x for x in got if x.startswith("urn:x:")) == sorted(f"urn:x:{i}" for i in range(300))
+
+
 def test_warc_round_trip(spark, tmp_path):
     pages = [(1, "u", "aa"), (2, "u\nv", "aa"), (3, None, None), (4, "u", ""), (None, "u", "zz"), (7, "é", "zz"), (7, "é", "zz"), (8, "u", "ü" * 50_000)]
     spark.createDataFrame([(*p, 1) for p in pages], "page_id long, url string, html string, digest int").write.parquet(str(tmp_path / "pages.parquet"))

@@ -9,7 +9,7 @@ import pytest
 from checks import same
 
 import corpus_pipeline
-from selsketch.llm import licenses, near_dup, packing, quality, queries, secrets, substring, token_counts, toxicity
+from selsketch.llm import decontaminate, licenses, near_dup, packing, quality, queries, secrets, substring, token_counts, toxicity
 from selsketch.llm.decontaminate import tiles
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -86,6 +86,25 @@ def test_tiling_equals_brute_force():
         assert sum(x[2] for x in tiles(p.astype(np.uint64), t.astype(np.uint64), 3)) == brute(p.tolist(), t.tolist(), 3)
 
 
+def test_decontamination_columns(spark, medium):
+    words = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (t or "").translate(LOWER))
+    docs = {r["doc_id"]: words(r["text"]) for r in spark.read.parquet(f"{medium}/documents.parquet").collect()}
+    items = {r["item_id"]: words(r["text"]) for r in spark.read.parquet(f"{medium}/benchmark.parquet").collect()}
+    number: dict[str, int] = {}
+    code = lambda ws: np.array([number.setdefault(w, len(number)) for w in ws], np.uint64)
+    want = set()
+    for i, w in docs.items():
+        grams = {tuple(w[j : j + 5]) for j in range(len(w) - 4)}
+        for k, b in items.items():
+            if any(tuple(b[j : j + 5]) in grams for j in range(len(b) - 4)):
+                found = tiles(code(b), code(w))
+                share = sum(t[2] for t in found) / len(b)
+                if share >= 0.5:
+                    want.add((i, k, share, len(found), max(t[2] for t in found)))
+    got = [(r["doc_id"], r["item_id"], r["coverage"], r["n_tiles"], r["longest"]) for r in decontaminate.op2_decontamination(spark, medium).collect()]
+    assert len(got) == len(want) > 5 and set(got) == want
+
+
 def test_automaton_counts_greedy_pieces(spark, small, texts):
     vocab = token_counts.byte_pieces(packing.vocabulary_path())
 
