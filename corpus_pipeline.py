@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from selsketch.llm.common import Scratch
+from selsketch.llm.common import Scratch, without
 from selsketch.llm.decontaminate import contaminated
 from selsketch.llm.near_dup import near_duplicates
 from selsketch.llm.packing import pack
@@ -24,15 +24,13 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def near_dup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The first document of each group.  Documents without words or without id stay; repeated ids stay together."""
-    dropped = near_duplicates(docs).where("NOT kept").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(dropped, docs.doc_id == F.col("_gone"), "left_anti").select(*docs.columns)
+    return without(docs, near_duplicates(docs).where("NOT kept"))
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents that leak no benchmark item; those without id stay."""
-    leaks = contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
-    gone = leaks.select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, docs.doc_id == F.col("_gone"), "left_anti").select(*docs.columns)
+    """The documents that leak no benchmark item.  Null and empty texts leak nothing, documents without id stay, and all rows
+    of an id of which one leaks go."""
+    return without(docs, contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")))
 
 
 def secrets_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
