@@ -1,17 +1,17 @@
 """Toxicity by compression distance: two zstandard dictionaries, one of toxic and one of ordinary text.
 
-Training (bounded: at most SAMPLE_ROWS labelled rows, MAX_CHARS of each text's characters for the dictionaries): segments of
-one or two words whose document frequency differs between the classes far beyond chance make up each class's dictionary,
-after content that both share.  A window that one dictionary compresses to fewer bytes is closer to that class.  Scoring
-covers every window of every whole text; window differences become four features, and a logistic curve fitted on labelled
-rows that the dictionaries haven't seen turns them into a score, with the threshold at 0.5.
+Training uses a sample of at most SAMPLE_ROWS labelled rows, whole texts, counted in the executors.  Content that both classes
+share is trained by zstandard on COMMON_WINDOWS windows; segments of one or two words whose document frequency differs between
+the classes far beyond chance make up each class's own part.  (Dictionaries that zstandard's trainer alone makes of each class
+don't tell them apart, as it prefers what is frequent in both; the README has the figures.)  A window that one dictionary
+compresses to fewer bytes is closer to that class.  Scoring covers every window of every whole text; window differences become
+four features, and a logistic curve fitted on sampled rows that the dictionaries haven't seen turns them into a score, with the
+threshold at 0.5.
 """
 
 from __future__ import annotations
 
 import math
-import zlib
-from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -20,12 +20,12 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import docs_of, kept_in_worker, map_batches, small_batches
+from .common import Scratch, docs_of, kept_in_worker, map_batches, small_batches
 
 WINDOW, STRIDE, LEVEL = 3, 2, 12
 DICTIONARY_BYTES, OWN_SEGMENTS, LEAST_Z, LEAST_DOCS = 2048, 500, 4.0, 5
-#: Bounds of the training sample: rows, chosen by hash among all labelled training rows, and characters taken of each.
-SAMPLE_ROWS, MAX_CHARS = 4_000, 20_000
+#: Bounds of the training sample, both drawn by hash: labelled rows, and windows of their texts for the shared content.
+SAMPLE_ROWS, COMMON_WINDOWS = 4_000, 100_000
 FOLDS, CLOSE = 5, 3
 
 
@@ -64,25 +64,34 @@ def _segments(text: str) -> set[str]:
     return {*words, *map(" ".join, zip(words, words[1:], strict=False))}
 
 
-def dictionaries(rows: list[tuple[str, int]]) -> tuple[bytes, bytes]:
-    """(toxic, ordinary) dictionary content from labelled texts."""
-    seen = (Counter(), Counter())
-    for text, label in rows:
-        seen[label].update(_segments(text[:MAX_CHARS]))
-    n = [max(1, sum(label == k for _, label in rows)) for k in (0, 1)]
-    z: dict[str, float] = {}
-    for s in seen[0].keys() | seen[1].keys():
-        a, b = seen[1][s], seen[0][s]
-        if a + b >= LEAST_DOCS:
-            p = (a + b) / sum(n)
-            z[s] = (a / n[1] - b / n[0]) / math.sqrt(p * (1 - p) * (1 / n[0] + 1 / n[1]) + 1e-12)
-    order = sorted(z, key=lambda s: (-z[s], s))
-    own = [s for s in order if z[s] > LEAST_Z][:OWN_SEGMENTS], [s for s in reversed(order) if z[s] < -LEAST_Z][:OWN_SEGMENTS]
-    samples = [w for text, _ in rows[:2000] for w in windows(text[:MAX_CHARS], 8, 4)][:100_000]
+def dictionaries(sample: DataFrame) -> tuple[bytes, bytes]:
+    """(toxic, ordinary) dictionary content from sample(text, toxic)."""
+    spark = sample.sparkSession
+
+    def segments(batch: pa.RecordBatch):
+        for text, label in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
+            if own := sorted(_segments(text.as_py())):
+                yield {"segment": own, "toxic": [label] * len(own)}
+
+    def long_windows(batch: pa.RecordBatch):
+        for text in batch.column("text"):
+            yield {"window": windows(text.as_py(), 8, 4)}
+
+    n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    n1, n0 = max(1, n.get(1, 0)), max(1, n.get(0, 0))
+    a, b = F.sum("toxic"), F.sum(1 - F.col("toxic"))
+    counts = map_batches(sample, segments, segment="string", toxic="int").groupBy("segment").agg(a.alias("a"), b.alias("b")).where(F.col("a") + F.col("b") >= LEAST_DOCS)
+    p = (F.col("a") + F.col("b")) / (n1 + n0)
+    z = (F.col("a") / n1 - F.col("b") / n0) / F.sqrt(p * (1 - p) * (1 / n0 + 1 / n1) + 1e-12)
+    counts = counts.select("segment", F.round(z, 9).alias("z"))
+    own = [[r["segment"] for r in counts.where(F.col("z") * way > LEAST_Z).orderBy(F.col("z") * -way, "segment").limit(OWN_SEGMENTS).collect()] for way in (1, -1)]
+    drawn = map_batches(sample, long_windows, window="binary").orderBy(F.xxhash64("window"), "window").limit(COMMON_WINDOWS)
+    drawn = [bytes(r["window"]) for r in drawn.collect()]
     try:
-        common = zstandard.train_dictionary(DICTIONARY_BYTES, samples).as_bytes()[512:]
+        # what follows the header and the tables of the trained dictionary is its content; used raw, both sides share it
+        common = zstandard.train_dictionary(DICTIONARY_BYTES, drawn).as_bytes()[512:]
     except zstandard.ZstdError:  # too little text to train on
-        common = b"".join(samples)[-DICTIONARY_BYTES:]
+        common = b"".join(drawn)[-DICTIONARY_BYTES:]
     toxic, ordinary = (common + b" " + " ".join(reversed(segments)).encode() + b" " for segments in own)
     return toxic, ordinary
 
@@ -100,46 +109,59 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, rounds: int = 50
     return w, center, scale
 
 
-def train(rows: list[tuple[int, str, int]]) -> Model:
-    """Rows (doc_id, text, label).  A quarter of them, by the id's crc32, calibrates; the others make the dictionaries."""
-    rows = [(i, t or "", int(y)) for i, t, y in rows]
-    part = lambda i: zlib.crc32(f"calibrate:{i}".encode()) % 4 == 0
-    own = [(t, y) for i, t, y in rows if not part(i)]
-    rest = [(t, y) for i, t, y in rows if part(i)] or own
-    toxic, ordinary = dictionaries(own)
-    if not rest:
+def train(sample: DataFrame) -> Model:
+    """sample(doc_id, text, toxic 0 or 1), as training_rows gives it.  A quarter of the rows, by the id's crc32, calibrates, the
+    others make the dictionaries; without rows in either part all rows do both.  Of an empty sample, every score is near 0, and
+    of a single class, near that class."""
+    scratch = Scratch(sample.sparkSession)
+    sample = sample.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), F.col("toxic").cast("int").alias("toxic"))
+    sample = scratch.save(sample.withColumn("late", F.crc32(F.concat(F.lit("calibrate:"), F.col("doc_id").cast("string"))) % 4 == 0), "sample")
+    parts = {r["late"] for r in sample.select("late").distinct().collect()}
+    own, rest = (sample.where("NOT late"), sample.where("late")) if len(parts) == 2 else (sample, sample)
+    toxic, ordinary = dictionaries(own.select("text", "toxic"))
+    if not parts:
         return Model(toxic, ordinary, np.array([-20.0, 0, 0, 0, 0]), np.zeros(4), np.ones(4))
-    press = _compressors(toxic, ordinary)
-    w, center, scale = _logistic(np.array([features(t, *press) for t, _ in rest]), np.array([y for _, y in rest], float))
-    return Model(toxic, ordinary, w, center, scale)
+    rows = np.array([[r["toxic"], r["f0"], r["f1"], r["f2"], r["f3"]] for r in _features(rest, toxic, ordinary, "doc_id", "toxic").orderBy("doc_id", "f0", "f1", "f2", "f3").collect()], float)
+    return Model(toxic, ordinary, *_logistic(rows[:, 1:], rows[:, 0]))
 
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """docs(doc_id, text) -> (doc_id, score, predicted).  Null and empty texts score like a text without any signal.
-    Repeated ids give repeated rows; other columns are ignored."""
-    small_batches(docs.sparkSession)
-    m = model  # two dictionaries of a few kilobytes travel with the job
+def _features(docs: DataFrame, toxic: bytes, ordinary: bytes, *keys: str) -> DataFrame:
+    """The keys and the four features f0..f3 of each text."""
+    kinds = {"bigint": "long"}
+    kinds = {k: kinds.get(v, v) for k, v in docs.select(*keys).dtypes}
 
     def step(batch: pa.RecordBatch):
-        press = kept_in_worker(("toxicity", m.toxic, m.ordinary), lambda: _compressors(m.toxic, m.ordinary))
+        press = kept_in_worker(("toxicity", toxic, ordinary), lambda: _compressors(toxic, ordinary))
         x = np.array([features(t.as_py() or "", *press) for t in batch.column("text")]).reshape(-1, 4)
-        p = 1 / (1 + np.exp(-np.clip(np.c_[np.ones(len(x)), (x - m.center) / m.scale] @ m.weights, -500, 500)))
-        yield {"doc_id": batch.column("doc_id"), "score": p, "predicted": (p >= 0.5).astype(np.int32)}
+        yield {k: batch.column(k) for k in keys} | {f"f{i}": x[:, i] for i in range(4)}
+
+    return map_batches(docs.select(*keys, F.col("text").cast("string")), step, **kinds, f0="double", f1="double", f2="double", f3="double")
 
-    return map_batches(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), step, doc_id="long", score="double", predicted="int")
+
+def score(docs: DataFrame, model: Model) -> DataFrame:
+    """docs(doc_id, text) -> (doc_id, score, predicted).  Null and empty texts score like a text without any signal.
+    Repeated ids give repeated rows; other columns are ignored."""
+    small_batches(docs.sparkSession)
+    x = _features(docs.select(F.col("doc_id").cast("long"), "text"), model.toxic, model.ordinary, "doc_id")  # two dictionaries of a few kilobytes travel with the job
+    line = F.lit(float(model.weights[0]))
+    for i, (w, c, s) in enumerate(zip(model.weights[1:], model.center, model.scale, strict=True)):
+        line = line + (F.col(f"f{i}") - float(c)) / float(s) * float(w)
+    p = 1 / (1 + F.exp(-F.greatest(F.least(line, F.lit(500.0)), F.lit(-500.0))))
+    return x.select("doc_id", p.alias("score")).select("doc_id", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
 def held_out(column: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(column).cast("string")) % FOLDS == 0, F.lit(False))
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> list[tuple[int, str, int]]:
-    """At most ``rows`` labelled rows outside the held-out fold; where there are more, those of the smallest hashes."""
-    named = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).select("doc_id", F.col("toxic").cast("int").alias("toxic")).dropDuplicates(["doc_id"])
+def training_rows(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> DataFrame:
+    """(doc_id, text, toxic): at most ``rows`` labelled documents outside the held-out fold; where there are more, those of
+    the smallest hashes.  Of labels that contradict each other, toxic holds; of several texts of one id, the smallest."""
+    usable = F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()
+    named = labels.where(usable).groupBy("doc_id").agg(F.max((F.col("toxic") > 0).cast("int")).alias("toxic"))
     chosen = named.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
-    slim = docs.select("doc_id", F.substring("text", 1, MAX_CHARS).alias("text"))
-    found = slim.join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])  # chosen has at most ``rows`` rows
-    return sorted((r["doc_id"], r["text"], r["toxic"]) for r in found.toLocalIterator())
+    found = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # chosen has at most ``rows`` rows
+    return found.groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
 
 
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

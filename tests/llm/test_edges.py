@@ -37,7 +37,7 @@ def bench(spark):
 OPS = {
     "near_dup": near_dup.near_duplicates, "substring": substring.without_repeats, "packing": packing.pack, "tokens": token_counts.token_counts,
     "secrets": secrets.secrets, "licenses": licenses.licenses, "quality": quality.quality,
-    "toxicity": lambda d: toxicity.score(d, toxicity.train([(1, "you idiot", 1), (2, "hello there", 0)] * 8)),
+    "toxicity": lambda d: toxicity.score(d, toxicity.train(d.sparkSession.createDataFrame([(i, ("hello there", "you idiot")[i % 2], i % 2) for i in range(16)], "doc_id long, text string, toxic int"))),
 }
 
 
@@ -146,6 +146,16 @@ def test_reordered_passages_are_caught(spark):
     assert [(r["doc_id"], r["item_id"], r["coverage"], r["n_tiles"]) for r in got] == [(1, 7, 1.0, 2)]
 
 
+@pytest.mark.parametrize("labels", [[], [(4, 0), (5, 0), (6, 0)], [(4, 1), (5, 1), (6, 1)], [(4, 1), (4, 0), (6, 0), (None, 1), (5, None)]])
+def test_toxicity_with_few_or_contradicting_labels(spark, tmp_path, docs, labels):
+    docs.select("doc_id", "text", "lang", "source", "n_chars").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame(labels, "doc_id long, toxic int").withColumn("text", __import__("pyspark").sql.functions.lit("x")).write.parquet(str(tmp_path / "labels.parquet"))
+    got = toxicity.op6_toxicity(spark, str(tmp_path)).collect()
+    assert len(got) == len(rows()) and all(0 <= r["score"] <= 1 and r["predicted"] == (r["score"] >= 0.5) for r in got)
+    sample = {r["doc_id"]: r["toxic"] for r in toxicity.training_rows(docs, spark.read.parquet(str(tmp_path / "labels.parquet"))).collect()}
+    assert sample == {i: max(y for j, y in labels if j == i and y is not None) for i, y in labels if i is not None and y is not None and __import__("zlib").crc32(str(i).encode()) % 5}
+
+
 def test_long_compressed_files_are_read_in_ranges(spark, tmp_path, monkeypatch):
     warc.register(spark)
     rows_ = [(f"urn:x:{i}", "response", f"http://h/{i}", hashlib.sha512(str(i).encode()).digest() * 40, None, None, None) for i in range(300)]
