@@ -30,6 +30,11 @@ def bucket(x: Column, cls: str, rep: int, width: int, k: int = 2) -> Column:
     return (polynomial(x, coefficients("bucket", cls, rep, k)) % width).cast("int")
 
 
+def bucket_of(x: int, cls: str, rep: int, width: int, k: int = 2) -> int:
+    """The bucket of one number, as ``bucket`` gives it."""
+    return reduce(lambda acc, c: (acc * (x % PRIME) + c) % PRIME, coefficients("bucket", cls, rep, k)) % width
+
+
 def sign(x: Column, edge: str, rep: int, k: int = 4) -> Column:
     """Sign hash of a join edge: +1 or -1, k-wise independent."""
     return 1 - 2 * (polynomial(x, coefficients("sign", edge, rep, k)) % 2)

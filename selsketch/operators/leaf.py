@@ -13,7 +13,11 @@ from ..functions.predicates import dyadic_cover
 
 def dyadic(df: DataFrame, code: str, bits: int, width: int, by: tuple[str, ...] = ()) -> DataFrame:
     """(level, bin, cnt): level l counts the intervals of 2^l codes; a level of at most ``width`` intervals is exact."""
-    counts = df.where(F.col(code).isNotNull()).groupBy(*by, code).agg(F.count("*").alias("n"))
+    return dyadic_of_counts(df.where(F.col(code).isNotNull()).groupBy(*by, code).agg(F.count("*").alias("n")), code, bits, width, by)
+
+
+def dyadic_of_counts(counts: DataFrame, code: str, bits: int, width: int, by: tuple[str, ...] = ()) -> DataFrame:
+    """``dyadic`` of rows counted by code."""
     rows = counts.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(bits))))
     index = F.call_function("shiftright", F.col(code).cast("long"), F.col("level"))
     binned = index.cast("int")

@@ -15,11 +15,17 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.encode import Encoder
-from ..functions.predicates import And, Atom, Not, Or, complement, dyadic_cover, intersected, merged, signed_terms
+from ..functions.encode import Encoder, Selection
+from ..functions.hashing import bucket, bucket_of
+from ..functions.predicates import And, Atom, Not, Or, dyadic_cover, signed_terms
 from ..operators import leaf as leaves
 from ..operators.sketch import from_counts
 
+#: Counters of one level of a selectivity leaf; attributes of at most so many codes are counted code by code.
+LEAF_WIDTH = 1 << 12
+#: The level of the counters of single values.
+POINTS = -1
+
 
 @dataclass
 class Leaf:
@@ -106,23 +112,32 @@ class Model:
 
     # selectivities -------------------------------------------------------------------------------------------------
 
-    def intervals(self, attr: str, literals: Sequence) -> list[tuple[int, int]]:
-        top = self.relation.encoders[attr].size - 1
-        out = [(0, top)]
-        for x in literals:
-            out = intersected(out, self._intervals(attr, x, top))
-        return out
+    def selection(self, attr: str, literals: Sequence) -> Selection:
+        e = self.relation.encoders[attr]
+        return reduce(e.both, [self._selection(e, x) for x in literals], Selection([(0, e.size - 1)]))
 
-    def _intervals(self, attr: str, x, top: int) -> list[tuple[int, int]]:
+    def _selection(self, e: Encoder, x) -> Selection:
         if isinstance(x, Or):
-            return merged([i for p in x.parts for i in self._intervals(attr, p, top)])
+            return reduce(e.either, [self._selection(e, p) for p in x.parts])
         if isinstance(x, And):
-            return self.intervals(attr, x.parts)
-        if isinstance(x, Not):
-            return complement(self._intervals(attr, x.part, top), top)
-        if x.op == "<>":
-            return complement(self.relation.encoders[attr].intervals("=", x.values), top)
-        return self.relation.encoders[attr].intervals(x.op, x.values)
+            return reduce(e.both, [self._selection(e, p) for p in x.parts])
+        return e.inverse(self._selection(e, x.part)) if isinstance(x, Not) else e.select(x.op, x.values)
+
+    def _codes(self, leaf: int, attr: str, lo: int, hi: int) -> float:
+        """Rows with a code in lo..hi: from exact counts, or from the count-min counters of the dyadic levels."""
+        e, own = self.relation.encoders[attr], self.counters.get((leaf, attr), {})
+        if e.size <= LEAF_WIDTH:
+            return sum(own.get((0, c), 0) for c in range(lo, hi + 1))
+        out = 0
+        for level, index in dyadic_cover(lo, hi, e.bits):
+            whole = 1 << (e.bits - level) <= LEAF_WIDTH
+            out += own.get((level, index if whole else bucket_of(index, f"code@{level}", 0, LEAF_WIDTH)), 0)
+        return out
+
+    def _value(self, leaf: int, attr: str, v) -> float:
+        e = self.relation.encoders[attr]
+        point = self.counters.get((leaf, attr), {}).get((POINTS, bucket_of(e.point_of(v), "point", 0, LEAF_WIDTH)), 0)
+        return min(point, self._codes(leaf, attr, c, c)) if (c := e.code_of(v)) is not None else 0
 
     def leaf_probability(self, leaf: Leaf, attr: str, literals: Sequence) -> float:
         total = self.rows.get(leaf.id, 0)
@@ -136,9 +151,10 @@ class Model:
             return 0.0 if rest or solid else missing / total
         if not rest:
             return (total - missing) / total
-        counters, bits = self.counters.get((leaf.id, attr), {}), self.relation.encoders[attr].bits
-        n = sum(counters.get(node, 0) for lo, hi in self.intervals(attr, rest) for node in dyadic_cover(lo, hi, bits))
-        return min(1.0, max(0.0, n / total))
+        s = self.selection(attr, rest)
+        n = sum(self._codes(leaf.id, attr, lo, hi) for lo, hi in s.intervals)
+        n += sum(self._value(leaf.id, attr, v) for v in s.more) - sum(self._value(leaf.id, attr, v) for v in s.less)
+        return min(1.0, max(0.0, min(n, total - missing) / total))
 
     def node_rows(self, node) -> int:
         if isinstance(node, Leaf):
@@ -243,8 +259,11 @@ def _undump(x: dict):
     return Product([_undump(c) for c in x["product"]]) if "product" in x else Sum([(t, _undump(c)) for t, c in x["sum"]])
 
 
-def encoded(df: DataFrame, relation: Relation) -> DataFrame:
+def encoded(df: DataFrame, relation: Relation, points: bool = False) -> DataFrame:
+    """Keys and codes c_<attr> of the rows; ``points``: also p_<attr>, the counter of the single value where codes aren't exact."""
     codes = [e.column().alias(f"c_{a}") for a, e in relation.encoders.items()]
+    if points:
+        codes += [bucket(e.point(), "point", 0, LEAF_WIDTH).alias(f"p_{a}") for a, e in relation.encoders.items() if not e.exact]
     return df.select(*[F.col(k).cast("long").alias(k) for k in relation.keys], *codes)
 
 
@@ -252,7 +271,7 @@ def populate(df: DataFrame, relation: Relation, tree, width: int, reps: int, sav
     """Fills every leaf: key counts per leaf in one shuffle, from which all variants and repetitions derive, and code counts."""
     tree = numbered(tree)
     where = memberships(tree)
-    rows = encoded(df, relation)
+    rows = encoded(df, relation, True)
     key_ids = [i for i, (leaf, _) in where.items() if leaf.key]
     ids = F.array_compact(F.array(*[F.when(where[i][1], F.lit(i)) for i in key_ids]))
     counts = rows.select(*relation.keys, F.explode(ids).alias("leaf")).groupBy("leaf", *relation.keys).agg(F.count("*").alias("n"))
@@ -270,24 +289,39 @@ def populate(df: DataFrame, relation: Relation, tree, width: int, reps: int, sav
     if save_to:
         sketches.write.mode("overwrite").parquet(save_to)
         sketches = df.sparkSession.read.parquet(save_to)
-    each = [F.when(cond, F.struct(F.lit(i).alias("leaf"), F.lit(a).alias("attr"), F.col(f"c_{a}").alias("code"))) for i, (leaf, cond) in where.items() if not leaf.key for a in leaf.attrs]
-    size = [F.when(where[i][1], F.struct(F.lit(i).alias("leaf"), F.lit("").alias("attr"), F.lit(0).alias("code"))) for i in where]
-    codes = rows.select(F.explode(F.array_compact(F.array(*each, *size))).alias("x")).groupBy("x.leaf", "x.attr", "x.code").agg(F.count("*").alias("n")).collect()  # leaves x codes
+    entry = lambda i, a, level, code: F.struct(F.lit(i).alias("leaf"), F.lit(a).alias("attr"), F.lit(level).alias("level"), code.alias("code"))
+    inner = [(i, a, cond) for i, (leaf, cond) in where.items() if not leaf.key for a in leaf.attrs]
+    each = [F.when(cond, entry(i, a, 0, F.col(f"c_{a}"))) for i, a, cond in inner]
+    each += [F.when(cond & F.col(f"p_{a}").isNotNull(), entry(i, a, POINTS, F.col(f"p_{a}"))) for i, a, cond in inner if not relation.encoders[a].exact]
+    size = [F.when(where[i][1], entry(i, "", 0, F.lit(0))) for i in where]
+    codes = rows.select(F.explode(F.array_compact(F.array(*each, *size))).alias("x")).groupBy("x.leaf", "x.attr", "x.level", "x.code").agg(F.count("*").alias("n"))
+    # at most LEAF_WIDTH counters of each level of each leaf's attribute come to the driver
     counters: dict = {}
     nulls: dict = {}
     count = {i: 0 for i in where}
-    for r in codes:
+    for r in _counters(codes, {a: e.bits for a, e in relation.encoders.items() if e.size > LEAF_WIDTH}).collect():
         if not r["attr"]:
             count[r["leaf"]] = r["n"]
         elif r["code"] is None:
             nulls[r["leaf"], r["attr"]] = r["n"]
         else:
             own = counters.setdefault((r["leaf"], r["attr"]), {})
-            for level in range(relation.encoders[r["attr"]].bits + 1):
-                own[level, r["code"] >> level] = own.get((level, r["code"] >> level), 0) + r["n"]
+            own[r["level"], r["code"]] = r["n"]
     return Model(relation, tree, width, reps, count, counters, nulls, sketches)
 
 
+def _counters(codes: DataFrame, wide: Mapping[str, int]) -> DataFrame:
+    """codes(leaf, attr, level, code, n) with the codes of wide attributes (attr -> bits) as count-min counters of dyadic levels."""
+    if not wide:
+        return codes
+    out = codes.where(~F.col("attr").isin(list(wide)) | F.col("code").isNull() | (F.col("level") == POINTS))
+    for bits in sorted(set(wide.values())):
+        own = codes.where(F.col("attr").isin([a for a, b in wide.items() if b == bits]) & F.col("code").isNotNull() & (F.col("level") == 0))
+        made = leaves.dyadic_of_counts(own.drop("level"), "code", bits, LEAF_WIDTH, ("leaf", "attr"))
+        out = out.unionByName(made.select("leaf", "attr", "level", F.col("bin").alias("code"), F.col("cnt").alias("n")))
+    return out
+
+
 def _degrees(counts: DataFrame, classes: Mapping[str, str], facing: str, width: int, reps: int, by: list[str]) -> DataFrame:
     from ..operators.sketch import _per_rep, bin_of
 

@@ -13,6 +13,7 @@ from selsketch.operators import contract as C
 from selsketch.operators import sketch as S
 from selsketch.plans import planner as P
 from selsketch.plans import workload as W
+from selsketch.queries import models as Q
 from selsketch.structure.learn import hard_em, k_means, rdc
 
 
@@ -44,14 +45,28 @@ def test_encoded_intervals_equal_the_predicate(spark, cond):
     df = spark.createDataFrame([(i * 2 + 1, "abcd"[i % 4]) for i in range(20)], "v int, w string")
     tree = parse(cond)
     e = fit(df, tree.attr)
-    top = e.size - 1
-    iv = complement(e.intervals("=", tree.values), top) if tree.op == "<>" else e.intervals(tree.op, tree.values)
+    iv = e.intervals(tree.op, tree.values)
     codes = {r["v"]: r["c"] for r in df.select("v", e.column().alias("c")).collect()}
     got = {v for v, c in codes.items() if any(lo <= c <= hi for lo, hi in iv)}
     exact = {r["v"] for r in df.where(to_column(tree)).collect()}
     assert got == exact
 
 
+@pytest.mark.parametrize("distinct", [64, 65, 5000, 200_000])
+def test_selectivities_of_many_values_are_within_the_count_min_bound(spark, distinct):
+    n = 200_000
+    df = spark.range(n).select((F.col("id") % 97).alias("k"), (F.pmod(F.col("id") * 7919, F.lit(distinct)) * F.lit(1.0 if distinct < 9000 else 0.001)).alias("v"), F.concat(F.lit("w"), F.pmod(F.col("id"), F.lit(distinct))).alias("t"))
+    rel = Q.Relation("t", {"k": "k"}, Q.fit_all(df, {"v": "", "t": ""}), [Q.Variant("cm", ("k",), kind="cm")])
+    model = Q.populate(df, rel, Q.Product([Q.Leaf(("v",)), Q.Leaf(("t",)), Q.Leaf(("k",), key=True)]), 16, 1)
+    unit = 1 if distinct < 9000 else 0.001
+    for cond in [f"v = {7 * unit}", f"v IN ({7 * unit}, {8 * unit})", f"v BETWEEN {7 * unit} AND {9 * unit}", f"v < {distinct * unit / 3}", f"v >= {50 * unit} AND v <> {60 * unit}", f"NOT v <= {distinct * unit / 2}", "t = 'w7'", "t IN ('w1', 'w2')", "t <> 'w3'", "t = 'absent'"]:
+        truth = df.where(cond).count() / n
+        got = model.coefficients(parse(cond))[0]
+        assert abs(got - truth) <= 2 * 17 / 4096 + 1e-9 and got >= truth - 2 / 4096, (cond, got, truth)
+        if distinct <= 65:
+            assert math.isclose(got, truth, abs_tol=1e-9), cond
+
+
 def test_inverse_transform_entry_zero_and_not_the_sum():
     rng = np.random.default_rng(1)
     a, b, c = rng.integers(-3, 4, (3, 8)).astype(float)
