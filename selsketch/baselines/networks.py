@@ -1,154 +1,83 @@
-"""Baselines of one filtered two-way join: networks over outer joins, filtered-count stand-ins, the host's own estimate.
-
-All take (left, left key, left equalities, right, right key, right equalities) and return an estimate.
-"""
+"""Baselines outside the models: the host's own optimizer with column statistics, and a regression on queries."""
 
 from __future__ import annotations
 
+import contextlib
+import io
 import re
+import uuid
+from collections.abc import Iterator, Mapping, Sequence
 
 import numpy as np
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
-
-from ..operators import contract as C
-from ..operators import sketch as S
-
-SAMPLE_ROWS = 20_000
-
-
-def _where(df: DataFrame, equal: dict) -> DataFrame:
-    for a, v in equal.items():
-        df = df.where(F.col(a) == v)
-    return df
-
-
-def _outer(a: DataFrame, ka: str, fa: dict, b: DataFrame, kb: str, fb: dict):
-    """A bounded sample of the full outer join's flags, and its size; the size comes from frequency vectors."""
-    left = a.select(F.col(ka).alias("k"), *[(F.col(c) == v).cast("int").alias(f"a_{c}") for c, v in fa.items()], F.lit(1).alias("in_a"))
-    right = b.select(F.col(kb).alias("k"), *[(F.col(c) == v).cast("int").alias(f"b_{c}") for c, v in fb.items()], F.lit(1).alias("in_b"))
-    both = left.join(right, "k", "full_outer").na.fill(0)
-    size = both.count()
-    rows = both.where(F.pmod(F.xxhash64("k", F.monotonically_increasing_id()), F.lit(10**6)) < max(1, int(10**6 * SAMPLE_ROWS / max(size, 1))))
-    return rows.toPandas(), size
-
-
-def foj_spn(*args) -> float:
-    """Two K-means clusters over the sampled outer join; inside a cluster all flags are independent."""
-    from ..structure.learn import k_means
-
-    rows, size = _outer(*args)
-    flags = rows.drop(columns=["k"]).to_numpy(float)
-    label = k_means(np.c_[flags, (rows["k"] - rows["k"].mean()) / (rows["k"].std() + 1e-9)])
-    return size * sum((label == c).mean() * flags[label == c].mean(0).prod() for c in (0, 1) if (label == c).any())
-
-
-def foj_bn(*args) -> float:
-    """A tree of conditional tables over the outer join's flags, chained by mutual information."""
-    rows, size = _outer(*args)
-    flags = rows.drop(columns=["k"]).to_numpy(int)
-    n = flags.shape[1]
-
-    def information(i: int, j: int) -> float:
-        out = 0.0
-        for x in (0, 1):
-            for y in (0, 1):
-                p = ((flags[:, i] == x) & (flags[:, j] == y)).mean()
-                q = (flags[:, i] == x).mean() * (flags[:, j] == y).mean()
-                out += p * np.log(p / q) if p > 0 else 0.0
-        return out
-
-    seen, p = [0], flags[:, 0].mean()
-    while len(seen) < n:
-        _, parent, child = max((information(i, j), i, j) for i in seen for j in range(n) if j not in seen)
-        given = flags[flags[:, parent] == 1]
-        p *= given[:, child].mean() if len(given) else 0.0
-        seen.append(child)
-    return size * p
-
-
-def binned_bound(a, ka, fa, b, kb, fb, bins: int = 64) -> float:
-    """Per key bin the rows of one side times the largest degree of the other, scaled by each side's conditional share.
-
-    A stand-in without a network: the filtered rows are counted exactly in the table.
-    """
-
-    def side(df: DataFrame, k: str, equal: dict) -> DataFrame:
-        hit = F.lit(True)
-        for c, v in equal.items():
-            hit = hit & (F.col(c) == v)
-        each = df.groupBy(F.col(k).alias("k")).agg(F.count("*").alias("n"), F.sum(hit.cast("int")).alias("h"))
-        return each.groupBy(F.pmod(F.col("k"), F.lit(bins)).alias("bin")).agg(F.sum("h").alias("h"), F.max("n").alias("d"))
-
-    x, y = side(a, ka, fa), side(b, kb, fb)
-    both = x.join(y.select("bin", F.col("h").alias("h2"), F.col("d").alias("d2")), "bin")
-    return both.agg(F.sum(F.least(F.col("h") * F.col("d2"), F.col("h2") * F.col("d")))).first()[0] or 0.0
-
-
-def factorized(a, ka, fa, b, kb, fb) -> float:
-    """Exactly filtered rows per bin of keys, independence inside a bin: a stand-in, no network is learned."""
-
-    def side(df: DataFrame, k: str, equal: dict) -> DataFrame:
-        return _where(df, equal).groupBy(F.floor(F.col(k) / 32).alias("bin")).agg(F.count("*").alias("n"))
-
-    width = a.groupBy(F.floor(F.col(ka) / 32).alias("bin")).agg(F.countDistinct(ka).alias("v"))
-    x = side(a, ka, fa).join(side(b, kb, fb).withColumnRenamed("n", "n2"), "bin").join(width, "bin")
-    return x.agg(F.sum(F.col("n") * F.col("n2") / F.col("v"))).first()[0] or 0.0
-
-
-def few_hash(a, ka, fa, b, kb, fb, width: int = 1024, reps: int = 5) -> float:
-    """One signed sketch per relation with a single shared sign hash (our stand-in: the source prints no formula)."""
-    x = S.signed(_where(a, fa), {ka: "cust"}, {ka: ["shared"]}, width, reps)
-    y = S.signed(_where(b, fb), {kb: "cust"}, {kb: ["shared"]}, width, reps)
-    return C.reduce_reps(C.dot([x, y]), "median").first()["est"]
-
-
-def masked_network(a, ka, fa, b, kb, fb, bins: int = 64) -> float:
-    """CPU stand-in for a neural sketch: a multilayer perceptron maps masked filter flags to a distribution over key bins."""
-    from pyspark.ml.classification import MultilayerPerceptronClassifier
+from pyspark.sql import DataFrame, SparkSession
+
+from ..plans import planner as P
+from ..plans import workload as Wl
+
+_SETTINGS = {"spark.sql.cbo.enabled": "true", "spark.sql.cbo.joinReorder.enabled": "true", "spark.sql.cbo.planStats.enabled": "true", "spark.sql.statistics.histogram.enabled": "true"}
+
+
+@contextlib.contextmanager
+def host_statistics(spark: SparkSession, tables: Mapping[str, DataFrame]) -> Iterator[dict[str, DataFrame]]:
+    """The tables as catalogue tables with column statistics and histograms, the cost-based optimizer on; both undone after."""
+    before = {k: spark.conf.get(k) for k in _SETTINGS}
+    mark, made = uuid.uuid4().hex[:8], {}
+    try:
+        for k, v in _SETTINGS.items():
+            spark.conf.set(k, v)
+        for name, df in tables.items():
+            made[name] = f"host_{mark}_{name}"
+            df.write.saveAsTable(made[name])
+            spark.sql(f"ANALYZE TABLE {made[name]} COMPUTE STATISTICS FOR ALL COLUMNS")
+        yield {name: spark.table(t) for name, t in made.items()}
+    finally:
+        for t in made.values():
+            spark.sql(f"DROP TABLE IF EXISTS {t}")
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
+def host_rows(q: Wl.Query, subset: Sequence[str], tables: Mapping[str, DataFrame]) -> float:
+    """The optimizer's row count of a sub-join, as EXPLAIN COST prints it."""
+    own = Wl.Query(q.id, [a for a in q.aliases if a.name in subset], q.where)
+    text = io.StringIO()
+    with contextlib.redirect_stdout(text):
+        P.written(own, tables).explain("cost")
+    found = re.search(r"rowCount=([0-9.E+]+)", text.getvalue())
+    return float(found[1]) if found else 1.0
+
+
+def _features(run, q: Wl.Query, subset: Sequence[str], shares: Mapping[tuple[str, str], float], names: Sequence[str]) -> list[float]:
+    where = {a.name: shares.get((a.table, q.where.get(a.name, "")), 1.0) for a in q.aliases if a.name in subset}
+    return [x for n in names for x in ((1.0, float(np.log(max(where[n], 1e-6)))) if n in where else (0.0, 0.0))]
+
+
+def query_driven(run, d: str, per_template: int = 12):
+    """Boosted trees on which aliases a sub-join has and how selective their filters are, trained on the true sizes of another
+    workload over the same templates (another seed)."""
     from pyspark.ml.feature import VectorAssembler
+    from pyspark.ml.regression import GBTRegressor
+    from pyspark.sql import functions as F
 
-    def predicted(df: DataFrame, k: str, equal: dict) -> np.ndarray:
-        flags = [F.when(F.rand(5) < 0.5, (F.col(c) == v).cast("double") * 2 - 1).otherwise(0.0).alias(f"f{i}") for i, (c, v) in enumerate(equal.items())]
-        rows = df.select(F.pmod(F.col(k), F.lit(bins)).cast("double").alias("label"), *flags, F.lit(1.0).alias("one"))
-        total = df.count()
-        rows = rows.sample(min(1.0, 5000 / max(total, 1)), seed=3)
-        names = [*[f"f{i}" for i in range(len(equal))], "one"]
-        model = MultilayerPerceptronClassifier(layers=[len(names), 8, bins], maxIter=30, seed=3).fit(VectorAssembler(inputCols=names, outputCol="features").transform(rows))
-        ask = VectorAssembler(inputCols=names, outputCol="features").transform(df.sparkSession.createDataFrame([[1.0] * len(names)], names))
-        return model.transform(ask).first()["probability"].toArray() * _where(df, equal).count()
-
-    x, y = predicted(a, ka, fa), predicted(b, kb, fb)
-    values = a.select(F.countDistinct(ka)).first()[0]
-    return float((x * y).sum() / max(1.0, values / bins))
-
+    spark, templates = run.spark, sorted({q.id.split("#")[0] for q in run.queries})
+    other = Wl.generate(templates, per_template, seed=29)
 
-def query_driven(a, ka, fa, b, kb, fb, queries: int = 60) -> float:
-    """Regression on query features, trained on true sizes of other queries over the same join."""
-    from pyspark.ml.feature import VectorAssembler
-    from pyspark.ml.regression import GBTRegressor
+    def shares(queries, counts) -> dict[tuple[str, str], float]:
+        out = {}
+        for t, found in Wl.selections(queries).items():
+            rows = run.tables[t].count()
+            out |= {(t, found[r["sel"]]): r["n"] / max(rows, 1) for r in counts[t].groupBy("sel").agg(F.sum("n").alias("n")).collect()}  # one row per selection
+        return out
 
-    spark = a.sparkSession
-    (ca, va), (cb, vb) = next(iter(fa.items())), next(iter(fb.items()))
-    x = a.groupBy(F.col(ka).alias("k"), F.col(ca).alias("x")).agg(F.count("*").alias("n"))
-    y = b.groupBy(F.col(kb).alias("k"), F.col(cb).alias("y")).agg(F.count("*").alias("m"))
-    sizes = {(r["x"], r["y"]): float(r["s"]) for r in x.join(y, "k").groupBy("x", "y").agg(F.sum(F.col("n") * F.col("m")).alias("s")).limit(10_000).collect()}
-    xs, ys = sorted({k[0] for k in sizes}), sorted({k[1] for k in sizes})
-    rng = np.random.default_rng(1)
-    rows = []
-    for _ in range(queries):
-        px, py = [v for v in xs if rng.random() < 0.6] or xs[:1], [v for v in ys if rng.random() < 0.6] or ys[:1]
-        rows.append([*[float(v in px) for v in xs], *[float(v in py) for v in ys], float(np.log1p(sum(sizes.get((p, q), 0.0) for p in px for q in py)))])
-    names = [f"f{i}" for i in range(len(xs) + len(ys))]
-    data = VectorAssembler(inputCols=names, outputCol="features").transform(spark.createDataFrame(rows, [*names, "label"]))
-    model = GBTRegressor(maxIter=20, seed=1).fit(data)
-    ask = spark.createDataFrame([[*[float(v == va) for v in xs], *[float(v == vb) for v in ys]]], names)
-    return float(np.expm1(model.transform(VectorAssembler(inputCols=names, outputCol="features").transform(ask)).first()["prediction"]))
-
-
-def host_estimate(a, ka, fa, b, kb, fb) -> float:
-    """Spark's own size estimate of the filtered join: its row count, else its bytes over the bytes of a row."""
-    joined = _where(a, fa).select(ka).join(_where(b, fb).select(kb), F.col(ka) == F.col(kb))
-    stats = joined._jdf.queryExecution().optimizedPlan().stats()
-    rows = re.search(r"Some\((\d+)\)", str(stats.rowCount().toString()))
-    return float(rows[1]) if rows else float(str(stats.sizeInBytes())) / 24
+    counts = Wl.counted(other, run.tables)
+    truth = {r["sub_id"]: r["truth"] for r in Wl.truths(other, run.tables, counts).collect()}
+    names = sorted({a.name for q in other for a in q.aliases})
+    known, asked = shares(other, counts), shares(run.queries, run.counts)
+    rows = [[*_features(run, q, s, known, names), float(np.log1p(truth[Wl.sub_id(q, s)]))] for q in other for s in q.subjoins()]
+    columns = [f"f{i}" for i in range(2 * len(names))]
+    ready = VectorAssembler(inputCols=columns, outputCol="features")
+    model = GBTRegressor(maxIter=20, maxDepth=4, seed=1).fit(ready.transform(spark.createDataFrame(rows, [*columns, "label"])))
+    ask = [(Wl.sub_id(q, s), *_features(run, q, s, asked, names)) for q in run.queries for s in q.subjoins()]
+    out = model.transform(ready.transform(spark.createDataFrame(ask, ["sub_id", *columns]))).select("sub_id", "prediction").collect()
+    found = {r["sub_id"]: float(np.expm1(r["prediction"])) for r in out}
+    return lambda q, s: found[Wl.sub_id(q, s)]

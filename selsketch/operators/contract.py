@@ -46,8 +46,9 @@ def xcorr(a: DataFrame, b: DataFrame, width: int, impl: str = "fft") -> DataFram
     return both.groupBy("rep").applyInArrow(correlate, "rep int, bin int, val double")
 
 
-def contract(vectors: dict[str, np.ndarray], classes: dict[str, list[str]], root: str | None = None) -> float:
-    """Join size of an acyclic sub-join from dense vectors.  classes: alias -> its shared classes.
+def contract(vectors: dict[str, np.ndarray], classes: dict[str, list[str]], root: str | None = None, spectra: dict[str, np.ndarray] | None = None) -> float:
+    """Join size of an acyclic sub-join from dense vectors.  classes: alias -> its shared classes; spectra: transforms of the
+    vectors that are known already.
 
     Messages run along the tree of aliases and classes: a class multiplies what its members send, an alias
     cross-correlates its composite vector with the messages of its other classes.  With ``root`` the tree hangs on that
@@ -70,7 +71,7 @@ def contract(vectors: dict[str, np.ndarray], classes: dict[str, list[str]], root
         rest = [c for c in classes[alias] if c != to]
         if not rest:
             return vectors[alias]
-        spectrum = np.fft.rfft(vectors[alias])
+        spectrum = spectra[alias] if spectra and alias in spectra else np.fft.rfft(vectors[alias])
         for c in rest:
             spectrum = spectrum * np.conj(np.fft.rfft(from_class(c, alias)))
         return np.fft.irfft(spectrum, width)
@@ -118,28 +119,75 @@ def acyclic(rows: DataFrame, plans: dict[str, dict], width: int) -> DataFrame:
 
     def solve(key, table):
         plan = plans[key[0].as_py()]
-        dense: dict[tuple[str, str], np.ndarray] = {}
-        role, alias = table.column("role").to_pylist(), table.column("alias").to_pylist()
-        bins, vals = table.column("bin").to_numpy(), table.column("val").to_numpy()
-        for r, a, b, v in zip(role, alias, bins, vals, strict=True):
-            dense.setdefault((r, a), np.zeros(width))[b] += v
+        role, alias = table.column("role").combine_chunks().dictionary_encode(), table.column("alias").combine_chunks().dictionary_encode()
+        names = [(r, a) for r in role.dictionary.to_pylist() for a in alias.dictionary.to_pylist()]
+        which = role.indices.to_numpy().astype(np.int64) * len(alias.dictionary) + alias.indices.to_numpy()
+        dense = dict(zip(names, _dense(which, len(names), table, width), strict=True))
         zero = np.zeros(width)
-        classes = plan["classes"]
-        if not plan.get("roots"):
-            est = contract({a: dense.get(("main", a), zero) for a in classes}, classes)
-        else:
-            terms = []
-            for root in plan["roots"]:
-                facing = toward(classes, root)
-                vectors = {a: dense.get(("main", a) if a == root else (f"deg:{facing[a]}", a), zero) for a in classes}
-                terms.append(contract(vectors, classes, root))
-            est = min(terms)
-            est = float(np.ceil(est - 1e-9 * max(1.0, abs(est)))) if plan.get("integral", True) else est
+        est = estimate(plan, lambda r, a: dense.get((r, a), zero))
         return pa.table({"sub_id": [key[0].as_py()], "rep": pa.array([key[1].as_py()], pa.int32()), "est": [est]})
 
     return rows.groupBy("sub_id", "rep").applyInArrow(solve, "sub_id string, rep int, est double")
 
 
+def _dense(which: np.ndarray, n: int, table: pa.Table, width: int) -> list[np.ndarray]:
+    """Vector i of the rows (bin, val) whose ``which`` is i, for i below n."""
+    order = np.argsort(which, kind="stable")
+    cuts = np.searchsorted(which[order], np.arange(1, n))
+    bins, vals = table.column("bin").to_numpy()[order], table.column("val").to_numpy()[order]
+    return [np.bincount(b, v, width) for b, v in zip(np.split(bins, cuts), np.split(vals, cuts), strict=True)]
+
+
+def estimate(plan: dict, vector, spectrum=None) -> float:
+    """One repetition's estimate of a sub-join.  vector(role, alias) and spectrum(role, alias) give what the plan names.
+
+    A bound is a whole number, and the transforms' rounding error is within the norms of the vectors times a few units of
+    precision: rounding down from that much above never falls below it.
+    """
+    classes = plan["classes"]
+    deep = {a for a, own in classes.items() if len(own) > 1} if spectrum else set()
+    if not plan.get("roots"):
+        return contract({a: vector("main", a) for a in classes}, classes, None, {a: spectrum("main", a) for a in deep})
+    terms = []
+    for root in plan["roots"]:
+        facing = toward(classes, root)
+        roles = {a: "main" if a == root else f"deg:{facing[a]}" for a in classes}
+        vectors = {a: vector(roles[a], a) for a in classes}
+        term = contract(vectors, classes, root, {a: spectrum(roles[a], a) for a in deep})
+        if plan.get("integral", True):
+            slack = 8 * np.finfo(float).eps * np.log2(max(len(next(iter(vectors.values()))), 2)) * float(np.prod([np.linalg.norm(v) for v in vectors.values()]))
+            term = float(np.floor(term + min(slack, 1e-3 * abs(term) + 0.5)))
+        terms.append(term)
+    return min(terms)
+
+
+def workload(rows: DataFrame, plans: dict[str, dict[str, dict]], width: int) -> DataFrame:
+    """rows(query_id, vec, rep, bin, val) -> (sub_id, rep, est): all sub-joins of a query share its vectors and transforms.
+
+    plans[query_id][sub_id]: as for ``acyclic``, and "vectors": (role, alias) -> vec.
+    """
+    for subs in plans.values():
+        for plan in subs.values():
+            if not is_acyclic(plan["classes"]):
+                raise ValueError("cyclic join graph: drop an edge or contract tensors")
+
+    def solve(key, table):
+        subs, rep = plans[key[0].as_py()], key[1].as_py()
+        n = 1 + max(v for p in subs.values() for v in p["vectors"].values())
+        dense = _dense(table.column("vec").to_numpy().astype(np.int64), n, table, width)
+        spectra: dict[int, np.ndarray] = {}
+
+        def spectrum(vec: int) -> np.ndarray:
+            if vec not in spectra:
+                spectra[vec] = np.fft.rfft(dense[vec])
+            return spectra[vec]
+
+        est = [estimate(p, lambda r, a, p=p: dense[p["vectors"][r, a]], lambda r, a, p=p: spectrum(p["vectors"][r, a])) for p in subs.values()]
+        return pa.table({"sub_id": list(subs), "rep": pa.array([rep] * len(subs), pa.int32()), "est": est})
+
+    return rows.groupBy("query_id", "rep").applyInArrow(solve, "sub_id string, rep int, est double")
+
+
 def toward(classes: dict[str, list[str]], root: str) -> dict[str, str]:
     """For each alias but the root the class that leads to it."""
     out, queue = {}, [root]

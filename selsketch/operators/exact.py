@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Mapping
-from functools import reduce
+from collections.abc import Mapping, Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -22,19 +21,25 @@ def cardinality(aliases: Mapping[str, tuple[DataFrame, Mapping[str, str], str |
     Aliases fold in one at a time; classes that no later alias has are summed out at once.
     """
     parts = [(set(classes.values()), frequencies(df, classes, where)) for df, classes, where in aliases.values()]
-    order, left = [parts[0]], parts[1:]
+    return folded(parts, []).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("card"))
+
+
+def folded(parts: Sequence[tuple[set[str], DataFrame]], by: Sequence[str]) -> DataFrame:
+    """(*by, n): the join's size from (classes, counts n by class and ``by``), folded in along shared classes."""
+    order, left = [parts[0]], list(parts[1:])
     while left:
         seen = set().union(*(p[0] for p in order))
-        nxt = next((p for p in left if p[0] & seen), left[0])
-        order.append(nxt)
-        left.remove(nxt)
+        nxt = next((i for i, p in enumerate(left) if p[0] & seen), None)
+        if nxt is None:
+            raise ValueError("the aliases aren't connected")
+        order.append(left.pop(nxt))
     have, out = order[0]
     for i, (own, table) in enumerate(order[1:], 1):
         later = set().union(*(p[0] for p in order[i + 1 :])) if order[i + 1 :] else set()
-        both = out.withColumnRenamed("n", "n1").join(table.withColumnRenamed("n", "n2"), sorted(have & own)) if have & own else out.withColumnRenamed("n", "n1").crossJoin(table.withColumnRenamed("n", "n2"))
+        both = out.withColumnRenamed("n", "n1").join(table.withColumnRenamed("n", "n2"), [*by, *sorted(have & own)])
         have = (have | own) & later
-        out = both.groupBy(*sorted(have)).agg(F.sum(F.col("n1") * F.col("n2")).cast("decimal(38,0)").alias("n"))
-    return out.agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("card"))
+        out = both.groupBy(*by, *sorted(have)).agg(F.sum(F.col("n1") * F.col("n2")).cast("decimal(38,0)").alias("n"))
+    return out if len(order) > 1 else out.groupBy(*by).agg(F.sum("n").cast("decimal(38,0)").alias("n"))
 
 
 def foj_probability(left: DataFrame, right: DataFrame, key: str, where: str) -> DataFrame:
@@ -43,7 +48,3 @@ def foj_probability(left: DataFrame, right: DataFrame, key: str, where: str) ->
     hit = F.col("_l").isNotNull() & F.col("_r").isNotNull() & F.expr(where)
     out = both.agg(F.count("*").alias("foj_size"), F.avg(F.when(hit, 1.0).otherwise(0.0)).alias("probability"))
     return out.withColumn("card", F.round(F.col("foj_size") * F.col("probability")).cast("long"))
-
-
-def product_of(values: list):
-    return reduce(lambda a, b: a * b, values)

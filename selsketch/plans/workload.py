@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import random
+import re
 from collections.abc import Mapping, Sequence
 from dataclasses import dataclass, field
 from functools import reduce
@@ -11,11 +12,12 @@ from itertools import combinations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.predicates import attributes, parse, to_column
+from ..functions.predicates import attributes, parse
 from ..operators import contract as C
 from ..operators import exact as X
-from ..operators.sketch import _per_rep, bin_of, from_counts, key_counts
+from ..operators.sketch import _per_rep, bin_of, from_counts
 from ..spn.model import Model, Variant
+from ..store import saved
 
 
 @dataclass(frozen=True)
@@ -86,86 +88,130 @@ def sub_id(query: Query, subset: Sequence[str]) -> str:
     return f"{query.id}:{'-'.join(subset)}"
 
 
-def truths(queries: Sequence[Query], tables: Mapping[str, DataFrame]) -> DataFrame:
-    """(sub_id, truth) of every connected sub-join, by frequency vectors, in one plan."""
-    parts = []
+def selections(queries: Sequence[Query]) -> dict[str, list[str]]:
+    """table -> its distinct selections ('' where a table isn't filtered)."""
+    out: dict[str, list[str]] = {}
     for q in queries:
-        for s in q.subjoins():
-            classes = q.classes(s)
-            aliases = {a.name: (tables[a.table], {col: c for col, c in a.keys if c in classes[a.name]}, q.where.get(a.name)) for a in q.aliases if a.name in s}
-            parts.append(X.cardinality(aliases).select(F.lit(sub_id(q, s)).alias("sub_id"), F.col("card").cast("double").alias("truth")))
-    return reduce(DataFrame.union, parts)
+        for a in q.aliases:
+            if (where := q.where.get(a.name, "")) not in out.setdefault(a.table, []):
+                out[a.table].append(where)
+    return out
 
 
-def _needs(queries: Sequence[Query], method: str) -> list[tuple[str, str, Alias, str | None, str, Variant]]:
-    return [(sub_id(q, s), q.id, a, q.where.get(a.name), role, v) for q in queries for s in q.subjoins() for a in q.aliases if a.name in s for role, v in variants_for(q, s, a, method)]
+def counted(queries: Sequence[Query], tables: Mapping[str, DataFrame]) -> dict[str, DataFrame]:
+    """table -> (sel, one column per join column, n), saved: one scan of a table tests all its selections and counts keys."""
+    out = {}
+    for table, found in selections(queries).items():
+        keys = sorted({col for q in queries for a in q.aliases if a.table == table for col, _ in a.keys})
+        hits = F.array_compact(F.array(*[F.when(F.expr(s) if s else F.lit(True), F.lit(i)) for i, s in enumerate(found)]))
+        rows = tables[table].select(*[F.col(k).cast("long").alias(k) for k in keys], F.explode(hits).alias("sel"))
+        out[table] = saved(rows.groupBy("sel", *keys).agg(F.count("*").alias("n")), f"counts-{table}")
+    return out
 
 
-def _plans(queries: Sequence[Query], method: str, integral: bool) -> dict[str, dict]:
-    return {sub_id(q, s): {"classes": q.classes(s), "roots": list(s) if method == "dbs" else None, "integral": integral} for q in queries for s in q.subjoins()}
+def shape(query: Query, subset: Sequence[str]) -> tuple:
+    """What sub-joins must share to be counted in one plan: tables and join columns of their aliases."""
+    classes = query.classes(subset)
+    return tuple((a.name, a.table, tuple((col, c) for col, c in a.keys if c in classes[a.name])) for a in query.aliases if a.name in subset)
 
 
-def exact_sketches(queries: Sequence[Query], tables: Mapping[str, DataFrame], method: str, width: int, reps: int) -> DataFrame:
-    """(table, sel, variant, rep, bin, val): each distinct selection and variant once; one scan per table tests all its
-    selections and counts their keys."""
-    wanted: dict[str, dict[str, dict[str, Variant]]] = {}
-    keys: dict[str, dict[str, str]] = {}
-    for _, _, a, where, _, v in _needs(queries, method):
-        wanted.setdefault(a.table, {}).setdefault(where or "", {})[v.name] = v
-        keys.setdefault(a.table, {}).update(dict(a.keys))
+def truths(queries: Sequence[Query], tables: Mapping[str, DataFrame], counts: Mapping[str, DataFrame] | None = None) -> DataFrame:
+    """(sub_id, truth) of every connected sub-join, by frequency vectors, saved.  Sub-joins of one shape share a plan."""
+    counts = counts or counted(queries, tables)
+    chosen = selections(queries)
+    shapes: dict[tuple, list[tuple]] = {}
+    for q in queries:
+        for s in q.subjoins():
+            shapes.setdefault(shape(q, s), []).append((sub_id(q, s), *[chosen[a.table].index(q.where.get(a.name, "")) for a in q.aliases if a.name in s]))
+    spark, parts = next(iter(counts.values())).sparkSession, []
+    for own, subs in shapes.items():
+        use = spark.createDataFrame(subs, "sub_id string, " + ", ".join(f"s{i} int" for i in range(len(own))))
+        factors = []
+        for i, (_, table, keys) in enumerate(own):
+            rows = counts[table].dropna(subset=[c for c, _ in keys]).join(F.broadcast(use.select("sub_id", F.col(f"s{i}").alias("sel"))), "sel")  # as many rows as sub-joins
+            factors.append(({c for _, c in keys}, rows.groupBy("sub_id", *[F.col(col).alias(c) for col, c in keys]).agg(F.sum("n").cast("decimal(38,0)").alias("n"))))
+        size = X.folded(factors, ["sub_id"])
+        parts.append(use.select("sub_id").join(size, "sub_id", "left").select("sub_id", F.coalesce(F.col("n").cast("double"), F.lit(0.0)).alias("truth")))
+    made = [saved(reduce(DataFrame.union, parts[i : i + 8]), "truths") for i in range(0, len(parts), 8)]
+    return reduce(DataFrame.union, made)
+
+
+def _needs(queries: Sequence[Query], method: str) -> list[tuple[Query, tuple[str, ...], Alias, str, Variant]]:
+    return [(q, s, a, role, v) for q in queries for s in q.subjoins() for a in q.aliases if a.name in s for role, v in variants_for(q, s, a, method)]
+
+
+def exact_sketches(queries: Sequence[Query], counts: Mapping[str, DataFrame], method: str, width: int, reps: int) -> DataFrame:
+    """(table, sel, variant, rep, bin, val): each distinct selection and variant once, from the saved counts."""
+    chosen = selections(queries)
+    wanted: dict[tuple[str, str], tuple[Variant, set[int], dict[str, str]]] = {}
+    for q, _, a, _, v in _needs(queries, method):
+        _, sels, classes = wanted.setdefault((a.table, v.name), (v, set(), {}))
+        sels.add(chosen[a.table].index(q.where.get(a.name, "")))
+        classes.update({c: k for c, k in a.keys if c in v.columns})
     out = []
-    for table, selections in wanted.items():
-        ids = list(selections)
-        hits = F.array_compact(F.array(*[F.when(F.expr(s) if s else F.lit(True), F.lit(i)) for i, s in enumerate(ids)]))
-        rows = tables[table].select(*[F.col(k).cast("long").alias(k) for k in keys[table]], F.explode(hits).alias("sel"))
-        counts = rows.groupBy("sel", *keys[table]).agg(F.count("*").alias("n"))
-        by_variant: dict[str, tuple[Variant, list[int]]] = {}
-        for i, s in enumerate(ids):
-            for name, v in selections[s].items():
-                by_variant.setdefault(name, (v, []))[1].append(i)
-        for name, (v, sels) in by_variant.items():
-            own = counts.where(F.col("sel").isin(sels)).dropna(subset=list(v.columns)).groupBy("sel", *v.columns).agg(F.sum("n").alias("n"))
-            classes = {c: keys[table][c] for c in v.columns}
-            if v.facing:
-                each = _per_rep(own, reps, lambda r, classes=classes: [bin_of(classes, r, width).alias("bin")])
-                each = each.groupBy("sel", F.col("_r.rep").alias("rep"), F.col("_r.bin").alias("bin"), v.facing).agg(F.sum("n").alias("d"))
-                made = each.groupBy("sel", "rep", "bin").agg(F.max("d").alias("val"))
-            else:
-                made = from_counts(own, classes, width, reps, {a: list(b) for a, b in v.signs}, ["sel"])
-            out.append(made.select(F.lit(table).alias("table"), "sel", F.lit(name).alias("variant"), "rep", "bin", F.col("val").cast("double").alias("val")))
+    for (table, name), (v, sels, keys) in wanted.items():
+        classes = {c: keys[c] for c in v.columns}
+        own = counts[table].where(F.col("sel").isin(sorted(sels))).dropna(subset=list(v.columns)).groupBy("sel", *v.columns).agg(F.sum("n").alias("n"))
+        if v.facing:
+            each = _per_rep(own, reps, lambda r, classes=classes: [bin_of(classes, r, width).alias("bin")])
+            each = each.groupBy("sel", F.col("_r.rep").alias("rep"), F.col("_r.bin").alias("bin"), v.facing).agg(F.sum("n").alias("d"))
+            made = each.groupBy("sel", "rep", "bin").agg(F.max("d").alias("val"))
+        else:
+            made = from_counts(own, classes, width, reps, {a: list(b) for a, b in v.signs}, ["sel"])
+        out.append(made.select(F.lit(table).alias("table"), "sel", F.lit(name).alias("variant"), "rep", "bin", F.col("val").cast("double").alias("val")))
     return reduce(DataFrame.unionByName, out)
 
 
-def estimate_exact(spark: SparkSession, queries: Sequence[Query], tables: Mapping[str, DataFrame], method: str, width: int, reps: int) -> DataFrame:
-    """(sub_id, rep, est) from sketches built over the filtered tables."""
-    needs = _needs(queries, method)
-    ids: dict[str, list[str]] = {}
-    for _, _, a, where, _, _ in needs:
-        if (where or "") not in ids.setdefault(a.table, []):
-            ids[a.table].append(where or "")
-    use = spark.createDataFrame([(s, role, a.name, a.table, ids[a.table].index(where or ""), v.name) for s, _, a, where, role, v in needs], "sub_id string, role string, alias string, table string, sel int, variant string")
-    rows = exact_sketches(queries, tables, method, width, reps).join(F.broadcast(use), ["table", "sel", "variant"])  # as many rows as sub-joins have aliases
-    return C.acyclic(rows.select("sub_id", "rep", "role", "alias", "bin", "val"), _plans(queries, method, True), width)
-
-
-def coefficient_rows(queries: Sequence[Query], models: Mapping[str, Model], method: str, product: str) -> list[tuple]:
+def coefficient_rows(queries: Sequence[Query], models: Mapping[str, Model], product: str) -> list[tuple]:
+    """(table, sel, leaf, coef) of each distinct selection, however many sub-joins use it."""
     out = []
-    for s, _, a, where, role, v in _needs(queries, method):
-        _, coefs = models[a.table].coefficients(parse(where) if where else None, product)
-        out += [(s, role, a.name, a.table, v.name, leaf, float(c)) for leaf, c in coefs.items() if c]
+    for table, found in selections(queries).items():
+        for i, where in enumerate(found):
+            _, coefs = models[table].coefficients(parse(where) if where else None, product)
+            out += [(table, i, leaf, float(c)) for leaf, c in coefs.items() if c]
     return out
 
 
-def estimate_spn(spark: SparkSession, queries: Sequence[Query], models: Mapping[str, Model], method: str, product: str = "product") -> DataFrame:
-    """(sub_id, rep, est) without touching the tables: all selections of the workload in one weighted aggregate."""
-    width = next(iter(models.values())).width
-    coefs = spark.createDataFrame(coefficient_rows(queries, models, method, product), "sub_id string, role string, alias string, table string, variant string, leaf int, coef double")
+def inferred_sketches(spark: SparkSession, queries: Sequence[Query], models: Mapping[str, Model], method: str, product: str = "product", merge: str = "sum") -> DataFrame:
+    """What exact_sketches gives, inferred from the models' leaves without touching the tables; ``merge``
+    is how degrees of leaves add up (sum, or the rejected max)."""
+    chosen = selections(queries)
+    needed = sorted({(a.table, chosen[a.table].index(q.where.get(a.name, "")), v.name) for q, _, a, _, v in _needs(queries, method)})
+    need = spark.createDataFrame(needed, "table string, sel int, variant string")
+    coefs = spark.createDataFrame(coefficient_rows(queries, models, product), "table string, sel int, leaf int, coef double")
     store = reduce(DataFrame.unionByName, [m.sketches.withColumn("table", F.lit(t)) for t, m in models.items()])
-    rows = store.join(F.broadcast(coefs), ["table", "variant", "leaf"]).groupBy("sub_id", "role", "alias", "table", "variant", "rep", "bin").agg(F.sum(F.col("coef") * F.col("val")).alias("val"))
+    # both small tables have a row for each distinct selection of the workload (times leaves or variants), none for data
+    rows = store.join(F.broadcast(need.join(coefs, ["table", "sel"])), ["table", "variant", "leaf"])
+    rows = rows.groupBy("table", "sel", "variant", "rep", "bin").agg((F.sum if merge == "sum" else F.max)(F.col("coef") * F.col("val")).alias("val"))
     if method == "dbs":  # a degree never exceeds that of the whole relation
         whole = store.where(F.col("leaf") == -1).select("table", F.regexp_replace("variant", r"\|whole$", "").alias("variant"), "rep", "bin", F.col("val").alias("most"))
-        rows = rows.join(whole, ["table", "variant", "rep", "bin"], "left").withColumn("val", F.least("val", F.coalesce("most", "val")))
-    return C.acyclic(rows.select("sub_id", "rep", "role", "alias", "bin", "val"), _plans(queries, method, False), width)
+        rows = rows.join(whole, ["table", "variant", "rep", "bin"], "left").withColumn("val", F.least("val", F.coalesce("most", "val"))).drop("most")
+    return rows.select("table", "sel", "variant", "rep", "bin", "val")
+
+
+def estimates(sketches: DataFrame, queries: Sequence[Query], method: str, width: int, integral: bool) -> DataFrame:
+    """(sub_id, rep, est) of every connected sub-join from the sketches of the workload's selections."""
+    chosen = selections(queries)
+    vectors: dict[str, dict[tuple, int]] = {}
+    plans: dict[str, dict[str, dict]] = {}
+    for q, s, a, role, v in _needs(queries, method):
+        own = vectors.setdefault(q.id, {})
+        vec = own.setdefault((a.table, chosen[a.table].index(q.where.get(a.name, "")), v.name), len(own))
+        plan = plans.setdefault(q.id, {}).setdefault(sub_id(q, s), {"classes": q.classes(s), "roots": list(s) if method == "dbs" else None, "integral": integral, "vectors": {}})
+        plan["vectors"][role, a.name] = vec
+    use = sketches.sparkSession.createDataFrame([(i, vec, *key) for i, own in vectors.items() for key, vec in own.items()], "query_id string, vec int, table string, sel int, variant string")
+    rows = sketches.join(F.broadcast(use), ["table", "sel", "variant"])  # a row for each query and selection
+    return C.workload(rows.select("query_id", "rep", "vec", "bin", "val"), plans, width)
+
+
+def estimate_exact(queries: Sequence[Query], counts: Mapping[str, DataFrame], method: str, width: int, reps: int) -> DataFrame:
+    """(sub_id, rep, est) from sketches built over the filtered tables."""
+    return estimates(exact_sketches(queries, counts, method, width, reps), queries, method, width, True)
+
+
+def estimate_spn(spark: SparkSession, queries: Sequence[Query], models: Mapping[str, Model], method: str, product: str = "product") -> DataFrame:
+    """(sub_id, rep, est) without touching the tables: all selections of the workload in one weighted aggregate."""
+    return estimates(inferred_sketches(spark, queries, models, method, product), queries, method, next(iter(models.values())).width, False)
 
 
 # templates ------------------------------------------------------------------------------------------------------------
@@ -204,7 +250,29 @@ POOL = {
     "orders_skew": ["seg = 'A'", "price_band <= 2", "price_band >= 5"], "events_skew": ["kind_skew = 'view'", "score <= 60", "score >= 80"],
     "lineitem_skew": ["qty_corr <= 12", "qty_corr > 20"], "part_skew": ["price_seg = 'low'", "price_seg = 'high'"],
 }
-FILTERS = {t: sorted(set().union(*[attributes(parse(p)) for p in ps])) if ps else [] for t, ps in POOL.items()}
+#: Ranges of numeric attributes, from which further predicates are drawn.
+RANGES = {
+    "customer": {"c_acctbal": (-900, 9900)}, "orders": {"o_totalprice": (1_000, 450_000)}, "lineitem": {"l_quantity": (1, 50), "l_linenumber": (1, 7)},
+    "part": {"p_size": (1, 50), "p_retailprice": (900, 1_000)}, "supplier": {"s_acctbal": (-900, 9900)}, "nation": {"n_regionkey": (0, 4)},
+    "events": {"value": (0, 100)}, "documents": {"n_chars": (200, 12_000)}, "embeddings": {"label": (0, 9)}, "conversations": {"turn": (0, 7)},
+    "orders_skew": {"price_band": (0, 9)}, "events_skew": {"score": (0, 199)}, "lineitem_skew": {"qty_corr": (1, 50)},
+}
+FILTERS = {t: sorted({*RANGES.get(t, ()), *(a for p in ps for a in attributes(parse(p)))}) for t, ps in POOL.items()}
+
+
+def predicate(table: str, rng: random.Random) -> str | None:
+    """A predicate on a table: one from the pool, a drawn range, or both on different attributes."""
+    known, ranges = POOL[table], RANGES.get(table, {})
+    first = rng.choice(known) if known and (not ranges or rng.random() < 0.5) else None
+    if not ranges or (first and rng.random() < 0.5):
+        return first
+    attr = rng.choice(sorted(ranges))
+    low, high = ranges[attr]
+    a, b = sorted(rng.randint(low, high) for _ in range(2))
+    drawn = rng.choice([f"{attr} >= {a}", f"{attr} <= {b}", f"{attr} BETWEEN {a} AND {b}"])
+    if not first or attr in attributes(parse(first)):
+        return drawn
+    return f"({first}) AND {drawn}" if " OR " in first else f"{first} AND {drawn}"
 
 
 def generate(templates: Sequence[str], per_template: int, seed: int = 11, filtered: float = 0.7) -> list[Query]:
@@ -214,7 +282,7 @@ def generate(templates: Sequence[str], per_template: int, seed: int = 11, filter
         for i in range(per_template):
             rng = random.Random(f"{seed}|{t}|{i}")
             aliases = [ALIASES[a] for a in t.split("-")]
-            where = {a.name: rng.choice(POOL[a.table]) for a in aliases if POOL[a.table] and rng.random() < filtered}
+            where = {a.name: p for a in aliases if rng.random() < filtered and (p := predicate(a.table, rng))}
             if aliases[0].name == "c" and "s" in t.split("-") and "l" in t.split("-"):  # a shared nation would close a cycle
                 aliases = [Alias("c", "customer", (("c_custkey", "cust"),)) if a.name == "c" else Alias("s", "supplier", (("s_suppkey", "supp"),)) if a.name == "s" else a for a in aliases]
             elif {"n", "c", "s"} <= {a.name for a in aliases} and "l" in t.split("-"):
@@ -223,6 +291,36 @@ def generate(templates: Sequence[str], per_template: int, seed: int = 11, filter
     return out
 
 
+def read_sql(sql: str) -> Query:
+    """SELECT ... FROM table alias, ... WHERE alias.column = alias.column AND ... AND alias.predicate: a Query over TABLES."""
+    m = re.fullmatch(r"\s*SELECT\s.+?\sFROM\s(.+?)(?:\sWHERE\s(.+))?\s*;?\s*", sql, re.I | re.S)
+    if not m:
+        raise ValueError(f"expected SELECT ... FROM ... WHERE ...: {sql!r}")
+    tables = {x.split()[-1]: x.split()[0] for x in m[1].split(",")}
+    conditions = [x.strip() for x in re.split(r"\sAND\s(?![^(]*\))", re.sub(r"(BETWEEN\s+\S+\s+)AND(\s)", r"\1&\2", m[2] or "", flags=re.I), flags=re.I)] if m[2] else []
+    parent: dict[str, str] = {}
+
+    def find(x: str) -> str:
+        while parent.setdefault(x, x) != x:
+            x = parent[x]
+        return x
+
+    where: dict[str, list[str]] = {}
+    for c in conditions:
+        if pair := re.fullmatch(r"(\w+\.\w+)\s*=\s*(\w+\.\w+)", c):
+            parent[find(pair[1])] = find(pair[2])
+        else:
+            owner = {a for a in re.findall(r"\b(\w+)\.\w+", c) if a in tables}
+            if len(owner) != 1:
+                raise ValueError(f"a predicate must name one alias: {c!r}")
+            (a,) = owner
+            where.setdefault(a, []).append(re.sub(rf"\b{a}\.", "", c.replace(" & ", " AND ")))
+    keys: dict[str, list[tuple[str, str]]] = {a: [] for a in tables}
+    for x in parent:
+        keys[x.split(".")[0]].append((x.split(".")[1], find(x).replace(".", "_")))
+    return Query("sql", [Alias(a, t, tuple(keys[a])) for a, t in tables.items()], {a: " AND ".join(f"({x})" if " OR " in x.upper() else x for x in xs) for a, xs in where.items()})
+
+
 WORKLOADS = {"star": (STAR, 4), "chain": (CHAIN, 11), "skew": (SKEW, 10)}
 
 
@@ -233,4 +331,24 @@ def profile(queries: Sequence[Query]) -> dict[str, int]:
     return {"queries": len(queries), "subqueries": len(subs), "selections": len(sels), "distinct_selections": len(set(sels))}
 
 
-__all__ = ["key_counts", "to_column"]
+def truth_sql(queries: Sequence[Query], source=lambda table: table) -> str:
+    """SQL of ``truths``, written apart: each sub-join as a join of its aliases' counts by key."""
+    out = []
+    for q in queries:
+        for s in q.subjoins():
+            classes, names = q.classes(s), [a for a in q.aliases if a.name in s]
+            parts = []
+            for a in names:
+                cols = [(col, c) for col, c in a.keys if c in classes[a.name]]
+                where = f" WHERE {q.where[a.name]}" if a.name in q.where else ""
+                parts.append((f"(SELECT {', '.join(f'{col} AS {c}_' for col, c in cols)}, count(*)::HUGEINT AS n FROM {source(a.table)}{where} GROUP BY {', '.join(col for col, _ in cols)}) {a.name}_", a))
+            done, left = [parts[0][0]], parts[1:]
+            have = {c: f"{names[0].name}_" for _, c in names[0].keys if c in classes[names[0].name]}
+            while left:  # any alias that shares a class with the ones before
+                i = next(i for i, (_, a) in enumerate(left) if any(c in have for c in classes[a.name]))
+                sub, a = left.pop(i)
+                done.append(f"JOIN {sub} ON " + " AND ".join(f"{have[c]}.{c}_ = {a.name}_.{c}_" for c in classes[a.name] if c in have))
+                have |= {c: f"{a.name}_" for c in classes[a.name] if c not in have}
+            out.append(f"SELECT '{sub_id(q, s)}' AS sub_id, coalesce(sum({' * '.join(f'{a.name}_.n' for a in names)}), 0)::DOUBLE AS truth FROM {' '.join(done)}")
+    return " UNION ALL ".join(out)
+

@@ -2,18 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.sketch import signed
-
-
-def shared_dir(spark: SparkSession) -> str:
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    return found.rstrip("/") if found else tempfile.mkdtemp(prefix="stream-")
+from ..store import shared_dir
 
 
 def replayed(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,6 +23,8 @@ class Config:
     spread: float = 1 / 6
     seed: int = 7
     noise_floor: bool = False
+    #: Sample rows below which coefficients mean nothing; such a part isn't split, whatever cluster_min is.
+    least_rows: int = 50
 
 
 def sample(df: DataFrame, relation: Relation, rows: int) -> dict[str, np.ndarray]:
@@ -42,9 +44,18 @@ def copula_features(x: np.ndarray, k: int, s: float, rng: np.random.Generator) -
 
 
 def _white(f: np.ndarray) -> np.ndarray:
+    """Orthonormal columns that span those of f, from its Gram matrix."""
     f = f - f.mean(0)
-    u, d, _ = np.linalg.svd(f, full_matrices=False)
-    return u[:, d > 1e-4 * d.max(initial=0)] if d.max(initial=0) > 0 else u[:, :0]
+    d, v = np.linalg.eigh(f.T @ f)
+    d = np.sqrt(np.maximum(d, 0))
+    keep = d > 1e-4 * d.max(initial=0)
+    return f @ (v[:, keep] / d[keep]) if d.max(initial=0) > 0 else f[:, :0]
+
+
+def _axis(x: np.ndarray) -> np.ndarray:
+    """Rows along the direction of greatest variance."""
+    c = x - x.mean(0)
+    return c @ np.linalg.eigh(c[:5000].T @ c[:5000])[1][:, -1]
 
 
 def rdc(a: np.ndarray, b: np.ndarray, k: int = 20, s: float = 1 / 6, seed: int = 7) -> float:
@@ -91,8 +102,7 @@ def components(matrix: np.ndarray, threshold: float) -> list[list[int]]:
 
 def hard_em(x: np.ndarray, rounds: int = 25) -> tuple[np.ndarray, list[float]]:
     """Two clusters of diagonal Gaussians with hard assignment; also the objective after each round."""
-    c = x - x.mean(0)
-    axis = c @ np.linalg.svd(c[:5000], full_matrices=False)[2][0]
+    axis = _axis(x)
     label = (axis > np.median(axis)).astype(int)
     trace: list[float] = []
     for _ in range(rounds):
@@ -113,8 +123,7 @@ def hard_em(x: np.ndarray, rounds: int = 25) -> tuple[np.ndarray, list[float]]:
 
 
 def k_means(x: np.ndarray, rounds: int = 25) -> np.ndarray:
-    c = x - x.mean(0)
-    axis = c @ np.linalg.svd(c[:5000], full_matrices=False)[2][0]
+    axis = _axis(x)
     label = (axis > np.median(axis)).astype(int)
     for _ in range(rounds):
         if label.min() == label.max():
@@ -151,7 +160,7 @@ def learn(columns: dict[str, np.ndarray], relation: Relation, cfg: Config):
         return out[0] if len(out) == 1 else Product(out)
 
     def grow(rows: np.ndarray, attrs: list[str], with_keys: bool):
-        if len(attrs) + with_keys <= 1 or not attrs or rows.sum() <= max(cfg.cluster_min * total, 50):
+        if len(attrs) + with_keys <= 1 or not attrs or rows.sum() <= max(cfg.cluster_min * total, cfg.least_rows):
             return leaf_set(attrs, with_keys)
         names = [*attrs, *(keys if with_keys else ())]
         own = {n: columns[n][rows] for n in names}
