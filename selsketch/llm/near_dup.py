@@ -3,8 +3,7 @@ evaluations fill a signature of the same length.
 
 Plan
  1. One scan: per document the size and a 128-bit hash of its shingle set, and its band keys (2 x PERMUTATIONS signature
-    values in bands of ROWS; sets of at most SMALL shingles add the shingles of a prefix, which two sets that are linked
-    always share).  Documents with equal sets form a class; its smallest doc_id stands for it.
+    values in bands of ROWS).  Documents with equal sets form a class; its smallest doc_id stands for it.
  2. Band keys that several classes share make groups around their smallest class.  Every pair of classes that shares a band
     key is inside the group of that key's smallest class.
  3. Exact verification on full sets: every member against the group's centre; links give components.
@@ -13,8 +12,9 @@ Plan
     unless it is a link.
  5. Components again over all links.
 
-The one source of loss is banding, for pairs of which a set has more than SMALL shingles: a pair at exactly the threshold 0.75
-shares no band with probability (1 - 0.75^4)^40 = 3e-7, less for more similar pairs.
+The one source of loss is banding: a pair at exactly the threshold 0.75 shares no band with probability
+(1 - 0.75^4)^40 = 3e-7, less for more similar pairs.  (Shingles of a prefix as further keys of small sets would find those for
+certain, but a line that many short documents share then makes one group of unlike members, whose pairs outgrow the disk.)
 """
 
 from __future__ import annotations
@@ -30,7 +30,7 @@ from .text import mix, signed, words_of
 
 WORDS, THRESHOLD = 5, 75
 PERMUTATIONS, ROWS = 80, 4
-BLOCK, SMALL = 128, 21
+BLOCK = 128
 _U = np.uint64
 
 
@@ -77,15 +77,7 @@ def band_keys(signature: np.ndarray, rows: int = ROWS) -> np.ndarray:
     return key
 
 
-def prefix_keys(shingle: np.ndarray, start: np.ndarray, size: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
-    """(set, key): of the small sets, the smallest shingles, so many that any two linked sets have one of them in common."""
-    length = np.where(size <= SMALL, size - -(-threshold * size // 100) + 1, 0)
-    of = np.repeat(np.arange(len(size)), size)
-    near = np.arange(len(shingle)) - np.repeat(start, size) < length[of]
-    return of[near], mix(shingle[near] ^ _U(0xA24BAED4963EE407))
-
-
-def signatures(docs: DataFrame, k: int = WORDS, permutations: int = PERMUTATIONS, rows: int = ROWS, threshold: int = THRESHOLD) -> DataFrame:
+def signatures(docs: DataFrame, k: int = WORDS, permutations: int = PERMUTATIONS, rows: int = ROWS) -> DataFrame:
     """(doc_id, n_shingles, s1, s2, bands): one row per document; bands is empty where there are no words."""
 
     def step(batch: pa.RecordBatch):
@@ -97,10 +89,8 @@ def signatures(docs: DataFrame, k: int = WORDS, permutations: int = PERMUTATIONS
                 size[full] = np.diff(np.append(start, len(shingle)))
                 s1[full], s2[full] = _set_hash(shingle, start)
                 bands = band_keys(min_max(shingle, start, permutations), rows)
-                of, extra = prefix_keys(shingle, start, size[full], threshold)
-                of = np.concatenate([np.repeat(np.arange(len(full)), bands.shape[1]), of])
-                keys = signed(np.concatenate([bands.ravel(), extra])[np.argsort(of, kind="stable")])
-                at[1:][full] = np.bincount(of, minlength=len(full))
+                keys = signed(bands).ravel()
+                at[1:][full] = bands.shape[1]
             bands = pa.ListArray.from_arrays(pa.array(np.cumsum(at).astype(np.int32)), pa.array(keys))
             yield {"doc_id": ids.slice(lo, n), "n_shingles": size, "s1": s1, "s2": s2, "bands": bands}
 
@@ -181,7 +171,7 @@ def near_duplicates(docs: DataFrame, k: int = WORDS, threshold: int = THRESHOLD,
     """
     spark = docs.sparkSession
     scratch = Scratch(spark)
-    sig = scratch.save(signatures(docs, k, permutations, rows, threshold), "signatures")
+    sig = scratch.save(signatures(docs, k, permutations, rows), "signatures")
     full = sig.where("n_shingles > 0 AND doc_id IS NOT NULL")
     classes = scratch.save(full.groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("c"), F.count("*").alias("w")), "classes")
     same = ["doc_id", "s1", "s2", "n_shingles"]
