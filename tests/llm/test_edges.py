@@ -66,7 +66,7 @@ def test_several_texts_of_one_id_keep_all_their_links(spark):
         assert sorted((r["doc_id"], r["n_shingles"] > 0, r["component_id"]) for r in got) == sorted([(1, True, 1), (1, True, 1), (2, True, 1), (3, True, 1), (9, True, 5), (9, True, 5), (7, True, 5), (5, True, 5), (9, False, 9), (12, True, 1)])
 
 
-def test_small_sets_are_linked_for_certain(spark):
+def test_small_sets_at_the_threshold_are_linked(spark):
     rng = __import__("numpy").random.default_rng(3)
     rows_, i = [], 0
     for _ in range(1500):  # pairs that share exactly 3 of 4 shingles
