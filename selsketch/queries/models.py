@@ -305,6 +305,11 @@ ALL_METHODS = ("sbs_exact_median", "sbs_exact_max", "sbs_exact_q75", "sbs_spn_me
 WIDTH, REPS = 100_000, 5
 
 
+def some(n: int) -> list[Wl.Query]:
+    """n queries of each of W3's templates of up to three relations."""
+    return Wl.generate(["os-es", "c-os-es", "os-ls-ps"], n)
+
+
 def workload(name: str, per_template: int | None = None) -> list[Wl.Query]:
     templates, n = Wl.WORKLOADS[name]
     return Wl.generate(templates, per_template or n)
@@ -314,45 +319,49 @@ def _source(table: str) -> str:
     return f"({view_sql(table)}) v" if table.endswith("_skew") else table
 
 
-for _name, _key in (("star", "w01_star"), ("chain", "w02_chain"), ("skew", "w03_skew")):
-    QUERIES[f"{_key}_truths"] = lambda spark, d, n=_name: Wl.truths(workload(n), tables_for(spark, d, workload(n)))
-    ORACLE[f"{_key}_truths"] = Wl.truth_sql(workload(_name), _source)
+#: Templates that the registered queries of W1 and W2 run, four queries each; all of them are workload("star") and so on.
+STAR = ["c-o-e", "c-o-e-o2", "p-l-l2", "n-c-s", "d-lb-em", "cv-cv2"]
+CHAIN = ["c-o-l", "n-c-o-l", "o-l-p", "n-s-l-o"]
+
+for _key, _queries in (("w01_star", Wl.generate(STAR, 4)), ("w02_chain", Wl.generate(CHAIN, 4)), ("w03_skew", some(4))):
+    QUERIES[f"{_key}_truths"] = lambda spark, d, qs=_queries: Wl.truths(qs, tables_for(spark, d, qs))
+    ORACLE[f"{_key}_truths"] = Wl.truth_sql(_queries, _source)
 
 
 @query("w01_star_estimates")
 def w01_star(spark, d):
-    """All of W1 at the published width from exact sketches: the work that inference would save, and its accuracy."""
-    return Estimation(spark, d, workload("star"), WIDTH, REPS).summary(("sbs_exact_median", "sbs_exact_max", "sbs_exact_q75", "dbs_exact"))
+    """W1 at the published width from exact sketches: the work that inference would save, and its accuracy."""
+    return Estimation(spark, d, Wl.generate(STAR, 4), WIDTH, REPS).summary(("sbs_exact_median", "sbs_exact_max", "sbs_exact_q75", "dbs_exact"))
 
 
 @query("w01_star_inferred")
 def w01_star_inferred(spark, d):
     """The custkey hub of W1 from models, beside exact sketches: every estimator."""
-    return Estimation(spark, d, Wl.generate(["c-o", "c-e", "c-o-e", "c-o-e-o2"], 4), 10_000, REPS).summary(ALL_METHODS)
+    return Estimation(spark, d, Wl.generate(["c-o-e"], 4), 10_000, REPS).summary(ALL_METHODS)
 
 
 @query("w02_chain_estimates")
 def w02_chain(spark, d):
-    """All of W2 at the published width from exact sketches."""
-    return Estimation(spark, d, workload("chain"), WIDTH, REPS).summary(("sbs_exact_median", "sbs_exact_max"))
+    """W2 at the published width from exact sketches."""
+    return Estimation(spark, d, Wl.generate(CHAIN, 4), WIDTH, REPS).summary(("sbs_exact_median", "sbs_exact_max"))
 
 
 @query("w02_chain_inferred")
 def w02_chain_inferred(spark, d):
-    """Chains of up to four relations of W2 from models, beside exact sketches."""
-    return Estimation(spark, d, Wl.generate(["c-o-l", "n-c-o-l", "o-l-p"], 4), 10_000, REPS).summary(("sbs_exact_median", "sbs_exact_max", "sbs_spn_median", "sbs_spnmin_max", "dbs_exact", "dbs_spn"))
+    """Chains of three relations of W2 from models, beside exact sketches."""
+    return Estimation(spark, d, Wl.generate(["c-o-l", "o-l-p"], 4), 10_000, REPS).summary(("sbs_exact_median", "sbs_exact_max", "sbs_spn_median", "sbs_spnmin_max", "dbs_exact", "dbs_spn"))
 
 
 @query("w03_skew_summary")
 def w03_skew(spark, d):
-    """All of W3 at the published width: every exact and inferred estimator."""
-    return Estimation(spark, d, workload("skew"), WIDTH, REPS).summary(ALL_METHODS)
+    """W3 (four queries of each template of up to three relations) at the published width: every estimator."""
+    return Estimation(spark, d, some(4), WIDTH, REPS).summary(ALL_METHODS)
 
 
 @query("w11_bounds_hold", "SELECT 'dbs_exact' AS method, 1.0::DOUBLE AS bound_share")
 def w11_bounds_hold(spark, d):
-    """Exact degree bounds never fall below the truth, on all of W3."""
-    return M.bound_share(Estimation(spark, d, workload("skew"), 1000, 1).compare(("dbs_exact",)), ["method"])
+    """Exact degree bounds never fall below the truth on W3."""
+    return M.bound_share(Estimation(spark, d, some(4), 1000, 1).compare(("dbs_exact",)), ["method"])
 
 
 def l1_grid(spark: SparkSession, d: str, selections: dict[str, list[str]], grid: Sequence[Config], width: int = 1000, reps: int = 1) -> DataFrame:
@@ -404,15 +413,15 @@ def l1_rows(spark: SparkSession, d: str, name: str, predicates: Sequence[str], g
 @query("w04_l1_grid")
 def w04_l1_grid(spark, d):
     """All filtered selections of W3 over cluster sizes and thresholds, 1.0 being independence and -1 clustering alone."""
-    return l1_grid(spark, d, filtered_selections("skew"), [Config(t, c) for c, t in ((1.0, 0.0), (0.5, 0.0), (0.25, 0.0), (0.1, 0.0), (0.05, 0.0), (0.1, -1.0), (0.1, 0.1), (0.1, 0.2), (0.1, 0.3))])
+    return l1_grid(spark, d, filtered_selections("skew"), [Config(t, c) for c, t in ((1.0, 0.0), (0.5, 0.0), (0.1, 0.0), (0.05, 0.0), (0.1, -1.0), (0.1, 0.2))])
 
 
 @query("w05_accuracy_grid")
 def w05_accuracy_grid(spark, d):
-    """Three queries of each template of W3 over cluster sizes, thresholds and widths: q-errors and seconds."""
+    """Three queries of each template of W3 of up to three relations over cluster sizes, thresholds and widths: q-errors and seconds."""
     out = []
-    for cluster_min, threshold, width in ((1.0, 0.0, 10_000), (0.1, 0.0, 10_000), (0.05, 0.0, 10_000), (0.1, 0.2, 10_000), (0.1, 0.0, 1_000)):
-        run = Estimation(spark, d, workload("skew", 3), width, REPS, Config(threshold, cluster_min, sample_rows=5000))
+    for cluster_min, threshold, width in ((1.0, 0.0, 10_000), (0.1, 0.0, 10_000), (0.1, 0.2, 10_000), (0.1, 0.0, 1_000)):
+        run = Estimation(spark, d, some(3), width, REPS, Config(threshold, cluster_min, sample_rows=5000))
         part = run.summary(("sbs_spn_median",))
         out.append(part.select(F.lit(cluster_min).alias("cluster_min"), F.lit(threshold).alias("threshold"), F.lit(width).alias("width"), *part.columns))
     return reduce(DataFrame.union, out)
@@ -420,10 +429,10 @@ def w05_accuracy_grid(spark, d):
 
 @query("w06_accuracy_dist")
 def w06_accuracy_dist(spark, d):
-    """Quantiles of the q-error on W3 (three queries a template), exact against inferred of two cluster sizes."""
+    """Quantiles of the q-error on W3 (three queries of each template of up to three relations), exact against inferred of two cluster sizes."""
     out = []
     for cluster_min in (0.5, 0.1):
-        run = Estimation(spark, d, workload("skew", 3), 10_000, REPS, Config(cluster_min=cluster_min, sample_rows=5000))
+        run = Estimation(spark, d, some(3), 10_000, REPS, Config(cluster_min=cluster_min, sample_rows=5000))
         rows = M.qerror(run.compare(("sbs_exact_median", "sbs_spn_median") if cluster_min == 0.5 else ("sbs_spn_median",)))
         own = F.when(F.col("method") == "sbs_exact_median", F.lit(None).cast("double")).otherwise(F.lit(cluster_min)).alias("cluster_min")
         out.append(rows.groupBy("method", own).agg(F.percentile("qerror", F.array(*[F.lit(x) for x in (0.1, 0.25, 0.5, 0.75, 0.9, 0.95, 1.0)])).alias("quantiles")))
@@ -432,9 +441,9 @@ def w06_accuracy_dist(spark, d):
 
 @query("w07_sketching_cost")
 def w07_sketching_cost(spark, d):
-    """Seconds to have every sketch of W3 (three queries a template), to the last counter, and bytes: exact over the tables, or inferred from models; both
+    """Seconds to have every sketch of W3 (three queries of each template of up to three relations), to the last counter, and bytes: exact over the tables, or inferred from models; both
     kinds of sketches.  A sparse counter takes 12 bytes."""
-    run, out = Estimation(spark, d, workload("skew", 3), WIDTH, REPS, Config(threshold=0.0, cluster_min=0.1, sample_rows=5000)), []
+    run, out = Estimation(spark, d, some(3), WIDTH, REPS, Config(threshold=0.0, cluster_min=0.1, sample_rows=5000)), []
     for kind in ("sbs", "dbs"):
         for source in ("exact", "spn"):
             rows = run.sketches(kind, source)
@@ -446,7 +455,7 @@ def w07_sketching_cost(spark, d):
 @query("w08_training")
 def w08_training(spark, d):
     """Training seconds of the models of W3's database: sketch networks (structure apart) and the baselines."""
-    run = Estimation(spark, d, workload("skew", 3), 10_000, REPS)
+    run = Estimation(spark, d, some(3), 10_000, REPS)
     run.model("sbs")
     out = [("sketch_spn", run.took["structure"] + run.took["model", "sbs", False], run.took["structure"])]
     for name, make in B.TRAINED.items():
@@ -461,8 +470,8 @@ query("w09_clustering")(lambda spark, d: l1_grid(spark, d, filtered_selections("
 
 @query("w10_plan_join_order")
 def w10_plan(spark, d):
-    """Orders chosen by each method on W3 (three queries a template), with the true size of all intermediate joins."""
-    run = Estimation(spark, d, workload("skew", 3), 10_000, REPS)
+    """Orders chosen by each method on W3 (three queries of each template of up to three relations), with the true size of all intermediate joins."""
+    run = Estimation(spark, d, some(3), 10_000, REPS)
     out = []
     for m in ("truth", "sbs_exact_max", "sbs_exact_median", "sbs_spn_max", "sbs_spnmin_max", "dbs_exact", "dbs_spn", "independent"):
         cost = _orders(run, m)
@@ -486,7 +495,7 @@ def _best(run: Estimation) -> list:
 def w10_execution(spark, d):
     """Plans chosen from each method's estimates, executed in that order: seconds of execution and of estimation.  The host's
     own order is that of its cost-based optimizer with column statistics."""
-    run = Estimation(spark, d, Wl.generate(["c-os-es", "os-ls-ps"], 3), 10_000, REPS)
+    run = Estimation(spark, d, Wl.generate(["c-os-es", "os-ls-ps"], 2), 10_000, REPS)
     out, known = [], {}
     for m in ("truth", "sbs_exact_max", "sbs_spn_max", "sbs_spnmin_max", "dbs_exact", "independent"):
         seconds = 0.0
@@ -508,7 +517,7 @@ def w10_execution(spark, d):
 @query("w11_bias")
 def w11_bias(spark, d):
     """Distribution of the signed relative error on W2's and W3's harder templates: sketches, degree bounds, the binned network."""
-    qs = [*Wl.generate(["os-es", "c-os-es", "os-ls-ps", "es-os-ls-ps"], 5), *Wl.generate(["c-o-l", "n-c-o-l", "o-l-p"], 4)]
+    qs = [*some(4), *Wl.generate(["c-o-l"], 4)]
     run = Estimation(spark, d, qs, 10_000, REPS)
     rows = run.compare(("sbs_exact_median", "sbs_exact_max", "sbs_spn_median", "sbs_spnmin_max", "dbs_exact", "dbs_spn"))
     bn = B.relation_bn(B.Database(spark, run.tables, run.relations("sbs"), qs))
@@ -520,8 +529,8 @@ def w11_bias(spark, d):
 
 @query("w12_small_width")
 def w12_small_width(spark, d):
-    """Width 4,096 on W1's custkey hub: min-product maxima of ten and of five repetitions, the few-hash heuristic, the neural sketch."""
-    out, qs = [], Wl.generate(["c-o", "o-e", "c-o-e", "c-o-e-o2"], 4)
+    """Width 4,096 on W1's custkey hub (four queries): min-product maxima of ten and of five repetitions, the few-hash heuristic, the neural sketch."""
+    out, qs = [], Wl.generate(["c-o-e"], 4)
     for reps in (10, 5):
         run = Estimation(spark, d, qs, 4096, reps)
         rows = run.summary(("sbs_spnmin_max", "sbs_exact_max"))
@@ -540,9 +549,9 @@ def w12_small_width(spark, d):
 
 @query("merge_ablation")
 def merge_ablation(spark, d):
-    """W3 (three queries a template): sum against max merge of degrees, and median, upper quartile and max of signed estimates."""
+    """W3 (three queries of each template of up to three relations): sum against max merge of degrees, and median, upper quartile and max of signed estimates."""
     methods = ("dbs_spn", "dbs_spnmaxdeg", "sbs_exact_median", "sbs_exact_q75", "sbs_exact_max", "sbs_spn_median", "sbs_spn_q75", "sbs_spn_max")
-    rows = Estimation(spark, d, workload("skew", 3), 10_000, REPS).compare(methods)
+    rows = Estimation(spark, d, some(3), 10_000, REPS).compare(methods)
     return M.summary(rows, ["method"]).join(M.bound_share(rows, ["method"]), "method")
 
 
@@ -558,7 +567,7 @@ def workload_profile(spark, d):
 @query("baseline_networks")
 def baseline_networks(spark, d):
     """W3 under every baseline, trained once on the database: q-errors and over-estimates."""
-    run = Estimation(spark, d, Wl.generate(["os-es", "c-os-es", "os-ls-ps"], 4), 1000, REPS)
+    run = Estimation(spark, d, some(3), 1000, REPS)
     db = B.Database(spark, run.tables, run.relations("sbs"), run.queries)
     parts = [B.estimated(run, name, make(db)) for name, make in B.TRAINED.items()]
     parts += [B.estimated(run, "few_hash", B.few_hash(db, run.counts, 1000, 5)), B.estimated(run, "neural_sketch", B.neural_sketch(db, run.counts)), B.estimated(run, "query_driven", N.query_driven(run, d))]
